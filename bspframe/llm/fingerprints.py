@@ -99,8 +99,9 @@ def with_next(df: DataFrame, id_col: str, carried: list[str]) -> DataFrame:
     heads = sorted(tuple(r) for r in base.groupBy("_b").agg(F.max("_k")).collect())  # one row for each range
     above = [(head, up) for (_, head), (up, _) in zip(heads, heads[1:] + heads[:1])]
     second = F.broadcast(spark.createDataFrame(above or [(0, 0)], "_k long, _up int"))
-    dealt = base.join(second, "_k", "left").withColumn("_d", F.when(F.col("_up").isNull(), F.array(F.struct("_b", F.lit(0)))).otherwise(F.array(F.struct("_b", F.lit(0)), F.struct(F.col("_up"), F.lit(1)))).cast("array<struct<to:int,x:int>>"))
-    dealt = dealt.withColumn("_d", F.explode("_d")).withColumn("_to", F.col("_d.to")).withColumn("_x", F.col("_d.x"))
+    place = lambda to, x: F.struct(F.col(to).alias("to"), F.lit(x).alias("x"))
+    places = F.when(F.col("_up").isNull(), F.array(place("_b", 0))).otherwise(F.array(place("_b", 0), place("_up", 1)))
+    dealt = base.join(second, "_k", "left").withColumn("_d", F.explode(places)).withColumn("_to", F.col("_d.to")).withColumn("_x", F.col("_d.x"))
     order = Window.partitionBy("_to").orderBy("_x", F.desc("_k"), carried[0])
     for c in carried:
         dealt = dealt.withColumn(f"next_{c}", F.lead(c).over(order))
