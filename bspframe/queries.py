@@ -2,5 +2,169 @@
 
 from __future__ import annotations
 
-QUERIES: dict = {}
-ORACLES: dict = {}
+from collections.abc import Callable
+
+from pyspark.sql import DataFrame, SparkSession, functions as F
+
+from bspframe import builders as B
+from bspframe import oracles as O
+from bspframe.algos import pagerank as pr
+from bspframe.algos import sssp as sp
+from bspframe.algos import wcc as wc
+from bspframe.graph import Graph
+from bspframe.measures import quality
+from bspframe.partitioners import blocks as bl
+from bspframe.partitioners import cuts
+from bspframe.plans import planner
+from bspframe.sources.tables import read_table
+
+Query = Callable[[SparkSession, str], DataFrame]
+QUERIES: dict[str, Query] = {}
+ORACLES: dict[str, str] = {}
+ROUNDS = 20
+
+
+def query(name: str, fn: Query, oracle: str | None = None) -> None:
+    QUERIES[name] = fn
+    if oracle:
+        ORACLES[name] = oracle
+
+
+def _ranks(df: DataFrame) -> DataFrame:
+    return df.select("id", (F.round("rank", 6) + 0.0).alias("rank"))
+
+
+def _graph(name: str, both: bool = False) -> Callable[[SparkSession, str], Graph]:
+    def make(s: SparkSession, d: str) -> Graph:
+        g = B.GRAPHS[name](s, d)
+        return g.undirect() if both else g
+
+    return make
+
+
+# PageRank
+for key, name, both in (("social", "co_purchase", False), ("web", "page_links", True), ("road", "session_chains", False), ("terms", "doc_terms", True), ("handoff", "handoff", False)):
+    query(f"pr_{key}", lambda s, d, g=_graph(name, both): _ranks(pr.pagerank(g(s, d), max_rounds=ROUNDS).df), O.pagerank(name, ROUNDS, both))
+#: The tolerance run stops after so many rounds (pinned by a test).
+TOL, TOL_ROUNDS = 0.01, 11
+query("pr_tol_social", lambda s, d: _ranks(pr.pagerank(B.co_purchase(s, d), tol=TOL).df), None)
+query("pr_selfedge_keep", lambda s, d: _ranks(pr.pagerank(B.handoff(s, d), max_rounds=ROUNDS).df), O.pagerank("handoff", ROUNDS))
+query("pr_selfedge_drop", lambda s, d: _ranks(pr.pagerank(B.handoff(s, d), max_rounds=ROUNDS, self_edges="drop").df), O.pagerank("handoff", ROUNDS, drop_self=True))
+query("pr_parallel", lambda s, d: _ranks(pr.pagerank(B.trade(s, d, distinct=False), max_rounds=ROUNDS).df), O.pagerank("trade", ROUNDS, edges=B.SQL["trade_multi"]))
+for key, how in {
+    "gas": {"engine": "gas"}, "gas_auto": {"engine": "gas", "cut": "auto", "machines": 7}, "sql": {"engine": "sql"}, "mr": {"engine": "mr"}, "mrloop": {"engine": "mr-loop"},
+    "rdd": {"engine": "rdd"}, "dataflow": {"engine": "dataflow"}, "single": {"engine": "single"}, "nocombiner": {"combiner": False},
+}.items():
+    query(f"pr_{key}", lambda s, d, how=how: _ranks(pr.pagerank(B.handoff(s, d), max_rounds=ROUNDS, **how).df), O.pagerank("handoff", ROUNDS))
+query("pr_gas_t", lambda s, d: _ranks(pr.pagerank(B.handoff(s, d), engine="gas", stop="T", tol=1e-6, max_rounds=100).df))
+query("pr_async", lambda s, d: _ranks(pr.pagerank(B.co_purchase(s, d), engine="gas-async", tol=1e-4).df))
+query("pr_async_local", lambda s, d: _ranks(pr.pagerank(B.handoff(s, d), engine="gas-async-local", tol=1e-6).df))
+query("pr_approx_optout", lambda s, d: _ranks(pr.pagerank_approx(B.co_purchase(s, d), 1e-3).df))
+query("pr_approx_wake", lambda s, d: _ranks(pr.pagerank_approx(B.co_purchase(s, d), 1e-3, reactivate=True).df))
+query("pr_weighted", lambda s, d: _ranks(pr.pagerank(Graph(B.trade(s, d, distinct=False).edges.withColumn("w", F.lit(1.0)), name="trade").simplify(), max_rounds=ROUNDS).df), O.pagerank("trade", ROUNDS, edges=B.SQL["trade_multi"]))
+
+
+def _update_ratio(s: SparkSession, d: str) -> DataFrame:
+    g = B.co_purchase(s, d)
+    exact = pr.pagerank(g, tol=1e-3)
+    approx = pr.pagerank_approx(g, 1e-3, max_rounds=exact.rounds)
+    return quality.update_ratio(approx.stats, exact.stats, s)
+
+
+def _rank_error(s: SparkSession, d: str) -> DataFrame:
+    g = B.co_purchase(s, d)
+    return quality.rank_error(pr.pagerank_approx(g, 1e-3).df, pr.pagerank(g, tol=1e-6).df)
+
+
+def _url_blocks(s: SparkSession, d: str) -> DataFrame:
+    """Pages and tokens by the least page of the page's host and first path part; a token joins its least page's block."""
+    pages = read_table(s, d, "pages").select((F.col("page_id") * 2).alias("id"), "url")
+    of = bl.blocks_url(pages, 1)
+    g = B.page_links(s, d)
+    tokens = g.edges.groupBy(F.col("dst").alias("t")).agg(F.min("src").alias("id")).join(of, "id").select(F.col("t").alias("id"), "block")
+    return of.union(tokens)
+
+
+def _page_graph(s: SparkSession, d: str) -> Graph:
+    pages = read_table(s, d, "pages").select((F.col("page_id") * 2).alias("id"))
+    return Graph(B.page_links(s, d).undirect().edges, extra=pages, name="page_links")
+
+
+query("pr_update_ratio", _update_ratio)
+query("pr_rank_error", _rank_error)
+query("pr_block", lambda s, d: _ranks(pr.pagerank_block(_page_graph(s, d), _url_blocks(s, d)).df))
+query("pr_block_rounds", lambda s, d: _ranks(pr.pagerank_block(_page_graph(s, d), _url_blocks(s, d), step_rounds=(10, 10, 20)).df))
+
+# components
+for key, name in (("social", "co_purchase"), ("web", "page_links"), ("road", "session_chains"), ("hub", "geo_hub"), ("dup", "near_dup"), ("knn", "knn"), ("turns", "turn_chains"), ("ladder", "order_ladder")):
+    query(f"wcc_{key}", lambda s, d, n=name: wc.wcc(B.GRAPHS[n](s, d)).df, O.wcc(name) if key != "ladder" else f"SELECT id, min(id) OVER () AS component FROM (SELECT src AS id FROM ({B.SQL[name]}) UNION SELECT dst FROM ({B.SQL[name]}))")
+for key, how in {
+    "minlabel": {"method": "min_label"}, "firstround": {"method": "min_label", "reverse": "first_round"}, "gatherboth": {"method": "min_label", "reverse": "gather_both"},
+    "hashtomin": {"method": "hash_to_min"}, "star": {"method": "star"}, "auto": {"method": "auto"}, "gas": {"engine": "gas"}, "async": {"engine": "gas-async"}, "async_local": {"engine": "gas-async-local"},
+    "sql": {"engine": "sql"}, "sql_merge": {"engine": "sql", "update": "merge", "frontier": "filter"}, "mr": {"engine": "mr"}, "mrloop": {"engine": "mr-loop"}, "rdd": {"engine": "rdd", "checkpoint_every": 2},
+    "dataflow": {"engine": "dataflow"}, "block": {"engine": "block"}, "single": {"engine": "single"},
+}.items():
+    query(f"wcc_{key}", lambda s, d, how=how: wc.wcc(B.trade(s, d), **how).df, O.wcc("trade"))
+query("wcc_forward_only", lambda s, d: wc.wcc(B.trade(s, d), directed=True).df, O.wcc("trade", directed=True))
+
+# distances
+for key, name, both, source in (("social", "co_purchase", False, 0), ("web", "page_links", True, 0), ("road", "session_chains", False, 0), ("handoff", "handoff", False, 0), ("knn", "knn", False, 0)):
+    query(f"sssp_{key}", lambda s, d, g=_graph(name, both), v=source: sp.sssp(g(s, d), v).df, O.hops(name, source, both))
+    query(f"khop3_{key}", lambda s, d, g=_graph(name, both), v=source: sp.khop(g(s, d), v, 3).df, O.hops(name, source, both, 3))
+    query(f"khop_counts_{key}", lambda s, d, g=_graph(name, both), v=source: sp.khop(g(s, d), v, 3, levels=True).df, O.hops(name, source, both, 3, "SELECT dist::INTEGER AS dist, count(*) AS vertices FROM d GROUP BY dist"))
+for key, how in {
+    "vertex": {"engine": "vertex"}, "full": {"engine": "vertex", "frontier": False}, "gas": {"engine": "gas"}, "async": {"engine": "gas-async"}, "sql": {"engine": "sql"}, "mr": {"engine": "mr"}, "mrloop": {"engine": "mr-loop"},
+    "rdd": {"engine": "rdd", "checkpoint_every": 10}, "dataflow": {"engine": "dataflow"}, "block": {"engine": "block"}, "single": {"engine": "single"},
+}.items():
+    query(f"sssp_{key}", lambda s, d, how=how: sp.sssp(B.handoff(s, d), 0, **how).df, O.hops("handoff", 0))
+    query(f"khop3_{key}", lambda s, d, how=how: sp.khop(B.handoff(s, d), 0, 3, **how).df, O.hops("handoff", 0, k=3))
+query("sssp_diropt", lambda s, d: sp.sssp(B.co_purchase(s, d), 0, method="dir_opt").df, O.hops("co_purchase", 0))
+query("sssp_weighted", lambda s, d: sp.sssp(Graph(B.handoff(s, d).edges.withColumn("w", F.lit(1.0)), name="handoff"), 0, weight=True).df.select("id", F.col("dist").cast("int").alias("dist")), O.hops("handoff", 0))
+query("sssp_parent", lambda s, d: sp.sssp(B.handoff(s, d), 0, with_parent=True).df, None)
+query("khop_recursive", lambda s, d: sp.khop(B.handoff(s, d), 0, 2, engine="recursive_sql").df, O.hops("handoff", 0, k=2))
+query("khop_many_social", lambda s, d: sp.khop_many(B.co_purchase(s, d), read_table(s, d, "part").where("p_partkey < 50").select(F.col("p_partkey").alias("id")), 2).df, O.khop_many("co_purchase", "SELECT p_partkey AS id FROM part WHERE p_partkey < 50", 2))
+
+# partitioners and their measures
+_rf = lambda how, p, **k: lambda s, d: quality.replication_factor(how(B.co_purchase(s, d), p, **k))
+query("rf_random", _rf(cuts.vertex_cut_random, 16, portable=True), O.replication("co_purchase", O.random_part(16)))
+query("rf_grid", _rf(cuts.vertex_cut_grid, 16, portable=True), O.replication("co_purchase", O.common_part(cuts.grid_candidates(16))))
+query("rf_pds", _rf(cuts.vertex_cut_pds, 13, portable=True), O.replication("co_purchase", O.common_part(cuts.pds_candidates(13))))
+query("rf_edge_cut", _rf(cuts.edge_cut_random, 16, portable=True), O.replication("co_purchase", f"({O._hash('src')} % 16)"))
+query("rf_greedy", _rf(cuts.vertex_cut_greedy, 8))
+query("rf_auto", lambda s, d: quality.replication_factor(cuts.vertex_cut_auto(B.co_purchase(s, d), 32)[0]))
+_BLOCKS, _CORES = {"social": 440, "road": 240, "web": 1200}, {16: 64, 32: 128, 64: 256, 128: 512}
+_CELLS = [(g, n, b, c) for g, b in _BLOCKS.items() for n, c in _CORES.items()]
+query(
+    "partition_rule",
+    lambda s, d: s.createDataFrame([(g, n, planner.partition_rule(b, c)) for g, n, b, c in _CELLS], "graph string, nodes int, partitions int"),
+    "SELECT g AS graph, n::INTEGER AS nodes, least(b, 2 * c)::INTEGER AS partitions FROM (VALUES " + ", ".join(f"('{g}', {n}, {b}, {c})" for g, n, b, c in _CELLS) + ") AS t(g, n, b, c)",
+)
+query(
+    "blocks_url",
+    lambda s, d: bl.blocks_url(read_table(s, d, "pages").select(F.col("page_id").alias("id"), "url"), 1),
+    """SELECT page_id AS id, min(page_id) OVER (PARTITION BY regexp_extract(url, '://([^/?#]*)', 1), coalesce(string_split(regexp_extract(url, '://[^/?#]*([^?#]*)', 1), '/')[2], '')) AS block FROM pages""",
+)
+query(
+    "block_graph",
+    lambda s, d: B.handoff(s, d).contract(B.handoff(s, d).vertices.select("id", (F.col("id") % 10).alias("block"))),
+    f"SELECT src % 10 AS bsrc, dst % 10 AS bdst, count(*) AS w FROM ({B.SQL['handoff']}) WHERE src % 10 <> dst % 10 GROUP BY ALL",
+)
+query("block_stats", lambda s, d: quality.block_stats(B.co_purchase(s, d), B.co_purchase(s, d).vertices.select("id", F.floor(F.col("id") / 100).alias("block"))),
+      f"""WITH e AS MATERIALIZED ({B.SQL['co_purchase']}), v AS (SELECT src AS id FROM e UNION SELECT dst FROM e), s AS (SELECT id // 100 AS b, count(*) AS n FROM v GROUP BY ALL)
+      SELECT count(*) AS blocks, max(n) AS max_size, round(avg(n), 6) AS mean_size, (SELECT count(*) FROM e) AS edges, (SELECT count(*) FROM e WHERE src // 100 <> dst // 100) AS cut_edges,
+      (SELECT count(DISTINCT id) FROM (SELECT src AS id FROM e WHERE src // 100 <> dst // 100 UNION ALL SELECT dst FROM e WHERE src // 100 <> dst // 100)) AS boundary_vertices FROM s""")
+query(
+    "blocks_2d",
+    lambda s, d: bl.blocks_2d(read_table(s, d, "embeddings").select(F.col("vec_id").alias("id"), F.col("embedding")[0].cast("double").alias("x"), F.col("embedding")[1].cast("double").alias("y")), 4, 4),
+    """WITH c AS (SELECT vec_id AS id, embedding[1]::DOUBLE AS x, embedding[2]::DOUBLE AS y FROM embeddings), m AS (SELECT min(x) x0, max(x) x1, min(y) y0, max(y) y1 FROM c)
+    SELECT id, (least(floor((x - x0) / (x1 - x0) * 4), 3) * 4 + least(floor((y - y0) / (y1 - y0) * 4), 3))::BIGINT AS block FROM c, m""",
+)
+query("blocks_voronoi", lambda s, d: bl.blocks_voronoi(B.handoff(s, d), rate=0.1))
+query("blocks_mincut", lambda s, d: bl.partition_mincut(B.co_purchase(s, d), 4))
+
+# statistics and formats
+for name in ("co_purchase", "trade", "supply", "handoff", "session_chains", "order_ladder", "page_links", "doc_terms", "geo_hub", "turn_chains", "knn", "near_dup"):
+    query(f"graph_stats_{name}", lambda s, d, n=name: B.GRAPHS[n](s, d).stats(), O.stats(name))
+for name in ("co_purchase", "trade"):
+    query(f"adj_{name}", lambda s, d, n=name: B.GRAPHS[n](s, d).adjacency().select("id", F.concat_ws(" ", F.transform("nbrs", lambda x: x.cast("string"))).alias("nbrs")), O.adjacency(name, False))
+    query(f"adj_long_{name}", lambda s, d, n=name: B.GRAPHS[n](s, d).adjacency_long().select("id", "deg", F.concat_ws(" ", F.transform("nbrs", lambda x: x.cast("string"))).alias("nbrs")), O.adjacency(name, True))

@@ -43,7 +43,8 @@ def shared_dir(spark: SparkSession) -> str:
         base = getattr(sc, "_bspframe_shared", None)
         if base is None:
             base = sc._bspframe_shared = "file://" + tempfile.mkdtemp(prefix="bspframe-")
-            sc.setCheckpointDir(base)
+    if not sc._jsc.sc().getCheckpointDir().isDefined():
+        sc.setCheckpointDir(base)
     return base
 
 
