@@ -55,40 +55,77 @@ def swapped(words: set[str]) -> set[str] | None:
     return (words - hit) | {_SWAPS[w] for w in hit} if hit else None
 
 
-def fit(texts: list[set[str]], labels: np.ndarray, penalty: float = SWAP_PENALTY, rounds: int = 400) -> dict[str, float]:
-    """Weights by feature (the bias under ``""``) from word sets and 0/1 labels."""
-    if not len(labels):
-        return {"": -40.0}
-    y = labels.astype(np.float64)
-    copies = [(i, c) for i, c in enumerate(map(swapped, texts)) if c]
-    every = set().union(*texts, *(c for _, c in copies))
-    vocabulary = {w: i for i, w in enumerate(sorted(every))}
-    names: dict[str, int] = {}
-    table = [[names.setdefault(f, len(names)) for f in features_of(w)] for w in vocabulary]
-    rows = lambda words: np.unique([f for w in words for f in table[vocabulary[w]]]).astype(np.int64)
-    docs = [rows(t) for t in texts]
-    seen = np.zeros((2, len(names)))
-    for d, label in zip(docs, labels):
-        seen[int(label), d] += 1
+class Sample:
+    """Labelled texts as arrays of word numbers; the words themselves are kept once."""
+
+    def __init__(self):
+        self.words: dict[str, int] = {}
+        self.docs: list[np.ndarray] = []
+        self.copies: list[tuple[int, np.ndarray]] = []
+        self.labels: list[int] = []
+
+    def _numbers(self, words: set[str]) -> np.ndarray:
+        known = self.words
+        return np.array([known.setdefault(w, len(known)) for w in words], np.int32)
+
+    def add(self, words: set[str], label: int) -> None:
+        self.docs.append(self._numbers(words))
+        self.labels.append(label)
+        other = swapped(words)
+        if other is not None:
+            self.copies.append((len(self.docs) - 1, self._numbers(other)))
+
+    def features(self) -> tuple[list[str], np.ndarray, np.ndarray]:
+        """Names of the kept features, (features of a word, word) → kept feature or -1, and their counts by label."""
+        y = np.array(self.labels)
+        n1 = int(y.sum())
+        n0 = len(y) - n1
+        vocabulary = list(self.words)
+        names: list[str] = []
+        columns, pulls = [], []
+        for cut in (None, *STEMS):
+            seen: dict[str, int] = {}
+            of = np.array([seen.setdefault(w[:cut], len(seen)) if cut is None or len(w) >= cut else -1 for w in vocabulary], np.int64)
+            counts = np.zeros((2, len(seen) + 1))
+            for d, label in zip(self.docs, self.labels):
+                counts[label, np.unique(of[d])] += 1  # -1 falls on the spare last cell
+            counts = counts[:, :-1]
+            total = counts.sum(0)
+            pull = np.abs(np.log((counts[1] + 0.5) / (n1 + 1)) - np.log((counts[0] + 0.5) / (n0 + 1))) * np.sqrt(total)
+            pull[total < 3] = 0
+            kept = np.flatnonzero(pull > 3.0)
+            kept = kept[np.argsort(-pull[kept], kind="stable")[: MAX_FEATURES // (1 + len(STEMS))]]
+            slot = np.full(len(seen) + 1, -1)
+            slot[kept] = len(names) + np.arange(len(kept))
+            plain = list(seen)
+            names += [plain[i] if cut is None else f"{plain[i]}*" for i in kept.tolist()]
+            columns.append(slot[of])
+            pulls.append(pull[kept])
+        return names, np.stack(columns) if vocabulary else np.zeros((1 + len(STEMS), 0), np.int64), np.concatenate(pulls)
+
+
+def fit(sample: Sample, penalty: float = SWAP_PENALTY, rounds: int = 400) -> dict[str, float]:
+    """Weights by feature (the bias under ``""``)."""
+    y = np.array(sample.labels, np.float64)
     n1, n0 = y.sum(), len(y) - y.sum()
+    if not len(y):
+        return {"": -40.0}
     if min(n0, n1) == 0:
         return {"": 10.0 if n1 else -10.0}
-    pull = np.abs(np.log((seen[1] + 0.5) / (n1 + 1)) - np.log((seen[0] + 0.5) / (n0 + 1))) * np.sqrt(seen.sum(0))
-    pull[seen.sum(0) < 3] = 0
-    best = np.argsort(-pull, kind="stable")[: min(MAX_FEATURES, len(pull))]
-    best = best[pull[best] > 3.0]
-    slot = np.full(len(names), -1)
-    slot[best] = np.arange(len(best))
-    k = len(best)
-
-    def matrix(sets):
-        cols = [slot[s][slot[s] >= 0] for s in sets]
+    names, of, _ = sample.features()
+    k = len(names)
+
+    def matrix(docs: list[np.ndarray]):
+        cols = []
+        for d in docs:
+            f = np.unique(of[:, d])
+            cols.append(f[f >= 0])
         return np.concatenate([*cols, np.zeros(0, np.int64)]).astype(np.int64), np.repeat(np.arange(len(cols)), [len(c) for c in cols])
 
-    col, row = matrix(docs)
-    pairs = [(docs[i], rows(c)) for i, c in copies]
-    ca, ra = matrix([a for a, _ in pairs])
-    cb, rb = matrix([b for _, b in pairs])
+    col, row = matrix(sample.docs)
+    pairs = len(sample.copies)
+    ca, ra = matrix([sample.docs[i] for i, _ in sample.copies])
+    cb, rb = matrix([c for _, c in sample.copies])
     w, bias = np.zeros(k), math.log(n1 / n0)
     m, v = np.zeros(k + 1), np.zeros(k + 1)
     for step in range(1, rounds + 1):
@@ -97,20 +134,23 @@ def fit(texts: list[set[str]], labels: np.ndarray, penalty: float = SWAP_PENALTY
         error = (p - y) / len(y)
         grad = np.append(np.bincount(col, error[row], k) + RIDGE / 10 * w, error.sum())
         if pairs:
-            change = (np.bincount(ra, w[ca], len(pairs)) - np.bincount(rb, w[cb], len(pairs))) * (2 * penalty / len(pairs))
+            change = (np.bincount(ra, w[ca], pairs) - np.bincount(rb, w[cb], pairs)) * (2 * penalty / pairs)
             grad[:k] += np.bincount(ca, change[ra], k) - np.bincount(cb, change[rb], k)
         m = 0.9 * m + 0.1 * grad
         v = 0.999 * v + 0.001 * grad * grad
         move = 0.05 * (m / (1 - 0.9**step)) / (np.sqrt(v / (1 - 0.999**step)) + 1e-10)
         w -= move[:k]
         bias -= move[k]
-    keys = list(names)
-    return {"": float(bias)} | {keys[f]: float(x) for f, x in zip(best.tolist(), w.tolist())}
+    return {"": float(bias)} | dict(zip(names, w.tolist()))
 
 
 def _fit_rows(batches, penalty: float):
-    rows = [(set(_words((t or "").lower())), label) for b in batches for t, label in zip(b.column(0).to_pylist(), b.column(1).to_pylist())]
-    model = fit([t for t, _ in rows], np.array([x for _, x in rows], np.int64), penalty)
+    sample = Sample()
+    for batch in batches:
+        for part in K.slices(batch, "text"):
+            for t, label in zip(part.column(0), part.column(1).to_pylist()):
+                sample.add(set(_words((t.as_py() or "").lower())), int(label > 0))
+    model = fit(sample, penalty)
     yield pa.RecordBatch.from_arrays([pa.array(list(model)), pa.array(list(model.values()))], ["feature", "weight"])
 
 
@@ -147,24 +187,24 @@ class Scorer:
         return 1 / (1 + math.exp(-min(max(z, -40.0), 40.0)))
 
 
-def _score(batches, model):
+def _score(batches, model, keep: list[str], text: str):
     scorer = Scorer(model.value)
     for batch in batches:
-        at = batch.num_columns - 1
-        for part in K.slices(batch, batch.schema.names[at]):
-            scores = pa.array([scorer.score(t or "") for t in part.column(at).to_pylist()], pa.float64())
-            yield pa.RecordBatch.from_arrays([*(part.column(i) for i in range(at)), scores], [*part.schema.names[:at], "score"])
+        for part in K.slices(batch, text):
+            column = part.column(part.schema.get_field_index(text))
+            scores = pa.array([scorer.score(t.as_py() or "") for t in column], pa.float64())
+            yield pa.RecordBatch.from_arrays([*(part.column(i) for i in range(len(keep))), scores], [*keep, "score"])
 
 
-def score(docs: DataFrame, model: dict[str, float], keep: list[str] | None = None) -> DataFrame:
-    """``docs(doc_id, text)`` → the columns ``keep`` (doc_id) and score."""
+def score(docs: DataFrame, model: dict[str, float], keep: list[str] | None = None, text: str = "text") -> DataFrame:
+    """``docs`` → the columns ``keep`` (doc_id) and score of its string column ``text``."""
     spark = docs.sparkSession
     ship(spark)
     keep = keep or ["doc_id"]
     held = spark.sparkContext.broadcast(model)  # MAX_FEATURES entries at most
-    source = docs.select(*keep, F.col("text").cast("string").alias("_scored"))
-    schema = ", ".join(f"`{n}` {t}" for n, t in source.dtypes[:-1]) + ", score double"
-    return source.mapInArrow(partial(_score, model=held), schema)
+    source = docs.withColumn(text, F.col(text).cast("string")).select(*keep, *([] if text in keep else [text]))
+    schema = ", ".join(f"`{n}` {t}" for n, t in source.dtypes[: len(keep)]) + ", score double"
+    return source.mapInArrow(partial(_score, model=held, keep=keep, text=text), schema)
 
 
 def held_out(doc_id):

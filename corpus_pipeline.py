@@ -24,8 +24,7 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the classifier rejects go; it learns from labels outside the held-out fold."""
     labels = spark.read.parquet(f"{sf_dir}/labels.parquet")
     model = toxicity.train(docs, labels.where(~toxicity.held_out(F.col("doc_id"))))
-    kept = docs.select(*COLUMNS).withColumn("_all", F.struct(*COLUMNS))
-    return toxicity.score(kept, model, ["_all"]).where("score < 0.5").select("_all.*")
+    return toxicity.score(docs, model, COLUMNS).where("score < 0.5").select(*COLUMNS)
 
 
 def drop_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
