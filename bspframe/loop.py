@@ -25,13 +25,16 @@ class RoundStat:
 class Truncate:
     """When a round's state is checkpointed to the shared folder; in between it is only persisted."""
 
-    every: int = 4
+    every: int = 1
     level: StorageLevel = field(default_factory=lambda: StorageLevel.MEMORY_AND_DISK)
 
     @staticmethod
-    def auto(checkpoint_s: float = 0.4, growth_s: float = 0.05) -> "Truncate":
-        """The interval that balances the cost of a checkpoint against the growth of planning time."""
-        return Truncate(max(2, min(25, round((2 * checkpoint_s / growth_s) ** 0.5))))
+    def auto(checkpoint_s: float = 0.05, growth_s: float = 0.15) -> "Truncate":
+        """The interval that balances the cost of a checkpoint against the growth of planning time in a round.
+
+        The defaults are measured on small states, where every round pays; a large state wants its own figures.
+        """
+        return Truncate(max(1, min(25, round((2 * checkpoint_s / growth_s) ** 0.5))))
 
     @staticmethod
     def never() -> "Truncate":
