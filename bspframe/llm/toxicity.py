@@ -25,7 +25,7 @@ from bspframe.session import ship
 #: Labelled rows that the model is fitted on, at most, and features that it keeps, at most.
 TRAIN_ROWS, MAX_FEATURES = 12_000, 20_000
 #: Lengths of word beginnings that are features.
-STEMS = (4, 5, 6)
+STEMS = (3, 4, 5, 6, 7, 8)
 #: Weight of the penalty on score changes under swaps, and of the ridge.
 SWAP_PENALTY, RIDGE = 1.0, 1e-3
 # Identity terms by kind; a swap stays within a kind.
@@ -75,14 +75,14 @@ class Sample:
         if other is not None:
             self.copies.append((len(self.docs) - 1, self._numbers(other)))
 
-    def features(self) -> tuple[list[str], np.ndarray, np.ndarray]:
-        """Names of the kept features, (features of a word, word) → kept feature or -1, and their counts by label."""
+    def features(self) -> tuple[list[str], np.ndarray]:
+        """Names of the kept features, and (features of a word, word) → kept feature or -1."""
         y = np.array(self.labels)
         n1 = int(y.sum())
         n0 = len(y) - n1
         vocabulary = list(self.words)
         names: list[str] = []
-        columns, pulls = [], []
+        columns = []
         for cut in (None, *STEMS):
             seen: dict[str, int] = {}
             of = np.array([seen.setdefault(w[:cut], len(seen)) if cut is None or len(w) >= cut else -1 for w in vocabulary], np.int64)
@@ -91,20 +91,21 @@ class Sample:
                 counts[label, np.unique(of[d])] += 1  # -1 falls on the spare last cell
             counts = counts[:, :-1]
             total = counts.sum(0)
-            pull = np.abs(np.log((counts[1] + 0.5) / (n1 + 1)) - np.log((counts[0] + 0.5) / (n0 + 1))) * np.sqrt(total)
-            pull[total < 3] = 0
-            kept = np.flatnonzero(pull > 3.0)
+            # evidence that a feature's label rate is not the common one, against the number of features tried
+            rate, base = counts[1] / np.maximum(total, 1), n1 / (n1 + n0)
+            with np.errstate(divide="ignore", invalid="ignore"):
+                pull = total * (np.where(rate > 0, rate * np.log(rate / base), 0) + np.where(rate < 1, (1 - rate) * np.log((1 - rate) / (1 - base)), 0))
+            kept = np.flatnonzero((pull > math.log(len(seen) + 1)) & (total >= 3))
             kept = kept[np.argsort(-pull[kept], kind="stable")[: MAX_FEATURES // (1 + len(STEMS))]]
             slot = np.full(len(seen) + 1, -1)
             slot[kept] = len(names) + np.arange(len(kept))
             plain = list(seen)
             names += [plain[i] if cut is None else f"{plain[i]}*" for i in kept.tolist()]
             columns.append(slot[of])
-            pulls.append(pull[kept])
-        return names, np.stack(columns) if vocabulary else np.zeros((1 + len(STEMS), 0), np.int64), np.concatenate(pulls)
+        return names, np.stack(columns) if vocabulary else np.zeros((1 + len(STEMS), 0), np.int64)
 
 
-def fit(sample: Sample, penalty: float = SWAP_PENALTY, rounds: int = 400) -> dict[str, float]:
+def fit(sample: Sample, penalty: float = SWAP_PENALTY, rounds: int = 1200) -> dict[str, float]:
     """Weights by feature (the bias under ``""``)."""
     y = np.array(sample.labels, np.float64)
     n1, n0 = y.sum(), len(y) - y.sum()
@@ -112,7 +113,7 @@ def fit(sample: Sample, penalty: float = SWAP_PENALTY, rounds: int = 400) -> dic
         return {"": -40.0}
     if min(n0, n1) == 0:
         return {"": 10.0 if n1 else -10.0}
-    names, of, _ = sample.features()
+    names, of = sample.features()
     k = len(names)
 
     def matrix(docs: list[np.ndarray]):
