@@ -168,3 +168,237 @@ for name in ("co_purchase", "trade", "supply", "handoff", "session_chains", "ord
 for name in ("co_purchase", "trade"):
     query(f"adj_{name}", lambda s, d, n=name: B.GRAPHS[n](s, d).adjacency().select("id", F.concat_ws(" ", F.transform("nbrs", lambda x: x.cast("string"))).alias("nbrs")), O.adjacency(name, False))
     query(f"adj_long_{name}", lambda s, d, n=name: B.GRAPHS[n](s, d).adjacency_long().select("id", "deg", F.concat_ws(" ", F.transform("nbrs", lambda x: x.cast("string"))).alias("nbrs")), O.adjacency(name, True))
+
+
+# measures, ablations and runs
+def _phases(s: SparkSession, d: str) -> DataFrame:
+    from bspframe import harness
+
+    return harness.table(
+        s, [harness.run_one(s, d, "handoff", w, e, **({"rounds": 5} if w == "pagerank" else {})) for w in harness.WORKLOADS for e in ("vertex", "single")]
+    )
+
+
+def _cost(s: SparkSession, d: str) -> DataFrame:
+    from bspframe import harness
+
+    rows = []
+    for w in harness.WORKLOADS:
+        one, many = (harness.run_one(s, d, "handoff", w, e, **({"rounds": 5} if w == "pagerank" else {})) for e in ("single", "vertex"))
+        rows.append((w, one["total"], many["total"], quality.cost_factor(one["total"], many["total"]), quality.cost_factor(one["total"], many["total"], inverse=True)))
+    return s.createDataFrame(rows, "workload string, single_s double, parallel_s double, single_over_parallel double, parallel_over_single double")
+
+
+def _outcomes(s: SparkSession, d: str) -> DataFrame:
+    from bspframe.measures.runs import run_limited
+
+    ok = run_limited(s, lambda: B.handoff(s, d).edges.count(), 120)
+    late = run_limited(s, lambda: s.range(1 << 40).selectExpr("sum(hash(id))").collect(), 1.0)
+    return s.createDataFrame([("count", ok[0]), ("endless", late[0])], "run string, outcome string")
+
+
+def _memory(s: SparkSession, d: str) -> DataFrame:
+    from bspframe.measures.runs import Sampler
+    from bspframe.session import table_path
+    from bspframe.sources.edges import format_bytes
+
+    g = B.handoff(s, d)
+    with Sampler(0.2) as m:
+        pr.pagerank(g, max_rounds=3).df.count()
+    size = format_bytes(g, table_path(s, "formats"))
+    return s.createDataFrame([(k, v, quality.expansion(m.peak_memory, v)) for k, v in size.items()], "form string, bytes long, expansion double")
+
+
+def _format_bytes(s: SparkSession, d: str) -> DataFrame:
+    from bspframe.session import table_path
+    from bspframe.sources.edges import format_bytes
+
+    return s.createDataFrame(list(format_bytes(B.trade(s, d), table_path(s, "formats")).items()), "form string, bytes long")
+
+
+def _rounds_table(s: SparkSession, d: str) -> DataFrame:
+    r = pr.pagerank(B.handoff(s, d), tol=1e-3)
+    return s.createDataFrame([(x.round, x.changed, x.active, x.max_change, x.seconds, quality.round_budget(86_400, r.rounds)) for x in r.stats], "round int, changed long, active long, max_change double, seconds double, budget double")
+
+
+_SCALE = """
+import os, sys, time, json
+sys.path.insert(0, {repo!r})
+from pyspark.sql import SparkSession
+s = SparkSession.builder.master(os.environ['BSPFRAME_MASTER']).config('spark.sql.shuffle.partitions', '4').config('spark.ui.enabled', 'false').config('spark.driver.memory', '2g').getOrCreate()
+from bspframe import builders as B
+from bspframe.algos.pagerank import pagerank
+g = B.trade(s, {sf!r})
+pagerank(g, max_rounds=1).df.count()
+at = time.perf_counter()
+pagerank(g, max_rounds=3).df.count()
+print(json.dumps({{'seconds': time.perf_counter() - at}}))
+s.stop()
+"""
+
+
+def _scale_code(sf: str) -> str:
+    import os
+
+    return _SCALE.format(repo=os.path.dirname(os.path.dirname(os.path.abspath(__file__))), sf=sf)
+
+
+def _scaling(s: SparkSession, d: str) -> DataFrame:
+    from bspframe.measures.runs import strong_scaling
+
+    rows = strong_scaling(_scale_code(d), [1, 2])
+    return s.createDataFrame([(r["cores"], r["axis"], r.get("seconds"), r.get("speed_up"), r.get("efficiency")) for r in rows], "cores int, axis string, seconds double, speed_up double, efficiency double")
+
+
+def _weak(s: SparkSession, d: str) -> DataFrame:
+    from bspframe.measures.runs import weak_scaling
+
+    rows = weak_scaling(_scale_code, [(1, d), (2, d)])
+    return s.createDataFrame([(r["folder"], r["cores"], r.get("seconds")) for r in rows], "folder string, cores int, seconds double")
+
+
+query("phases", _phases)
+query("cost", _cost)
+query("outcomes", _outcomes, "SELECT * FROM (VALUES ('count', 'OK'), ('endless', 'TO')) AS t(run, outcome)")
+query("memory_expansion", _memory)
+query("format_bytes", _format_bytes)
+query("rounds_table", _rounds_table)
+query("scaling_strong", _scaling)
+query("scaling_weak", _weak)
+query("balance", lambda s, d: planner.partition_balance(B.co_purchase(s, d).edges.repartition(16, "src")))
+
+
+def _ablation(name: str) -> Query:
+    def go(s: SparkSession, d: str) -> DataFrame:
+        from bspframe import harness
+
+        return harness.ablation(s, d, name)
+
+    return go
+
+
+for name in ("cut", "stop", "mode", "handoff", "loop_cache", "rdd_checkpoint", "wcc_method", "update", "combiner"):
+    query(f"ablation_{name}", _ablation(name))
+query("diameter_road", lambda s, d: sp_diameter(s, d))
+
+
+def sp_diameter(s: SparkSession, d: str) -> DataFrame:
+    """Diameter of a forest of chains, exact: the longest chain's edges."""
+    g = B.session_chains(s, d)
+    sizes = wc.wcc(g).df.groupBy("component").count()
+    return sizes.agg((F.max("count") - 1).alias("diameter"))
+
+
+ORACLES["diameter_road"] = "SELECT max(n) - 1 AS diameter FROM (SELECT count(*) AS n FROM events GROUP BY user_id)"
+
+
+# surrounding operators
+def _interval(s: SparkSession, d: str) -> DataFrame:
+    from bspframe.operators.temporal import interval_edges
+
+    return interval_edges(read_table(s, d, "events"), "user_id", "ts", "event_id", 86_400)
+
+
+def _asof(s: SparkSession, d: str) -> DataFrame:
+    from bspframe.operators.temporal import asof_edges
+
+    e = read_table(s, d, "events").select("event_id", "ts", "user_id", "event_type")
+    low = e.agg(F.min("event_type")).first()[0]
+    return asof_edges(e.where(F.col("event_type") != low), e.where(F.col("event_type") == low), "user_id", "ts", "event_id")
+
+
+query("interval_edges", _interval, "SELECT a.event_id AS src, b.event_id AS dst FROM events a JOIN events b ON a.user_id = b.user_id AND (b.ts > a.ts OR (b.ts = a.ts AND b.event_id > a.event_id)) AND b.ts <= a.ts + INTERVAL 86400 SECONDS")
+query(
+    "asof_edges",
+    _asof,
+    """WITH low AS (SELECT min(event_type) AS t FROM events), l AS (SELECT * FROM events, low WHERE event_type <> t), r AS (SELECT * FROM events, low WHERE event_type = t)
+    SELECT l.event_id AS src, arg_max(r.event_id, (r.ts, r.event_id)) AS dst FROM l JOIN r ON l.user_id = r.user_id AND r.ts <= l.ts GROUP BY l.event_id""",
+)
+
+
+def _ids(s: SparkSession, d: str) -> DataFrame:
+    from bspframe.functions.ids import encode_ids
+
+    return encode_ids(read_table(s, d, "part").select("p_partkey", "p_brand"), ["p_brand"]).select("p_partkey", "p_brand", F.col("p_brand_id").cast("long").alias("p_brand_id"))
+
+
+query("encode_ids", _ids, "SELECT p_partkey, p_brand, dense_rank() OVER (ORDER BY p_brand) - 1 AS p_brand_id FROM part")
+query("top_ranked", lambda s, d: _ranks(pr.top_ranked(pr.pagerank(B.handoff(s, d), max_rounds=ROUNDS).df, 10)), f"SELECT id, rank FROM ({O.pagerank('handoff', ROUNDS)}) ORDER BY rank DESC, id LIMIT 10")
+query("property_edges", lambda s, d: _props(s, d), "SELECT event_id AS src, (props::JSON->>'k')::BIGINT AS dst, value AS w FROM events WHERE (props::JSON->>'k') IS NOT NULL")
+
+
+def _props(s: SparkSession, d: str) -> DataFrame:
+    from bspframe.operators.temporal import property_edges
+
+    return property_edges(read_table(s, d, "events"))
+
+
+# streams
+def _stream(s: SparkSession, d: str):
+    from bspframe.session import table_path
+    from bspframe.sources.edges import read_edge_stream
+
+    path = table_path(s, "edge-stream")
+    B.handoff(s, d, keep_ts=True).withColumn("ts", F.col("ts").cast("timestamp")).repartition(3).write.parquet(path)
+    return read_edge_stream(s, path, late=None, files_per_trigger=1), (lambda n: table_path(s, n))
+
+
+def _stream_components(s: SparkSession, d: str) -> DataFrame:
+    from bspframe.streaming.graphs import stream_components
+
+    edges, new = _stream(s, d)
+    return stream_components(edges, new("state"), new("checkpoint")).before()
+
+
+def _stream_degrees(s: SparkSession, d: str) -> DataFrame:
+    from bspframe.streaming.graphs import stream_degrees
+
+    edges, new = _stream(s, d)
+    return stream_degrees(edges, new("state"), new("checkpoint")).before()
+
+
+def _stream_khop(s: SparkSession, d: str) -> DataFrame:
+    from bspframe.streaming.graphs import stream_khop
+
+    edges, new = _stream(s, d)
+    return stream_khop(edges, 0, 3, new("state"), new("edges"), new("checkpoint")).before()
+
+
+def _stream_pagerank(s: SparkSession, d: str) -> DataFrame:
+    from bspframe.streaming.graphs import stream_pagerank
+
+    edges, new = _stream(s, d)
+    return _ranks(stream_pagerank(edges, new("state"), new("edges"), new("checkpoint"), tol=1e-6).before())
+
+
+def _stream_windows(s: SparkSession, d: str) -> DataFrame:
+    from bspframe.session import table_path
+    from bspframe.streaming.graphs import windowed_edges
+
+    edges, new = _stream(s, d)
+    out = table_path(s, "windows")
+    counted = windowed_edges(edges.withWatermark("ts", "3650 days"), "30 days")
+    q = counted.writeStream.format("memory").queryName("bspframe_windows").outputMode("complete").option("checkpointLocation", new("checkpoint")).trigger(availableNow=True).start()
+    q.awaitTermination()
+    s.table("bspframe_windows").write.parquet(out)
+    return s.read.parquet(out).groupBy("src", "dst").agg(F.sum("n").alias("n"))
+
+
+_MULTI = "SELECT user_id AS src, nxt AS dst FROM (SELECT user_id, lead(user_id) OVER (ORDER BY ts, event_id) AS nxt FROM events) WHERE nxt IS NOT NULL"
+query("stream_components", _stream_components, O.wcc("handoff"))
+query("stream_degrees", _stream_degrees, f"WITH e AS ({_MULTI}) SELECT id, sum(o)::BIGINT AS out_degree, sum(i)::BIGINT AS in_degree FROM (SELECT src AS id, 1 AS o, 0 AS i FROM e UNION ALL SELECT dst, 0, 1 FROM e) GROUP BY id")
+query("stream_khop", _stream_khop, O.hops("handoff", 0, k=3))
+query("stream_pagerank", _stream_pagerank)
+query("stream_windows", _stream_windows, f"SELECT src, dst, count(*) AS n FROM ({_MULTI}) GROUP BY ALL")
+
+
+# reports
+def _cube(s: SparkSession, d: str) -> DataFrame:
+    from bspframe import report
+
+    runs = s.createDataFrame([("a", "g", "w", 1.0, 2.0, 0.5, 0.25), ("b", "g", "w", 2.0, 1.0, 0.5, 0.25), ("a", "h", "w", 4.0, 2.0, 1.0, 0.5)], "engine string, graph string, workload string, load double, execute double, save double, overhead double")
+    return report.phases_cube(runs)
+
+
+query("report_cube", _cube, """SELECT engine, graph, workload, grouping(engine, graph, workload) AS level, round(avg(load), 6) AS load, round(avg(execute), 6) AS execute, round(avg(save), 6) AS save, round(avg(overhead), 6) AS overhead, count(*) AS runs
+  FROM (VALUES ('a', 'g', 'w', 1.0::DOUBLE, 2.0::DOUBLE, 0.5::DOUBLE, 0.25::DOUBLE), ('b', 'g', 'w', 2.0, 1.0, 0.5, 0.25), ('a', 'h', 'w', 4.0, 2.0, 1.0, 0.5)) AS t(engine, graph, workload, load, execute, save, overhead) GROUP BY CUBE (engine, graph, workload)""")
