@@ -22,6 +22,8 @@ def pagerank(g: Graph, delta: float = 0.15, init: float = 1.0, tol: float | None
     """
     if self_edges == "drop":
         g = g.where("src <> dst")
+    if engine.startswith("gas") and tol is not None:
+        how = {"tol": tol, **how}  # also when a vertex goes quiet, or a sweep is the last
     p = pagerank_program(delta, init, tol, max_rounds if tol is None else None, max_rounds or 1000)
     return _named(run(engine, g, p, **how))
 

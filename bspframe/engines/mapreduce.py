@@ -10,8 +10,8 @@ from pyspark.sql import DataFrame, Observation, functions as F
 from bspframe.engines.program import Program, first_state, message_edges
 from bspframe.engines.vertex import CHANGE
 from bspframe.graph import Graph, Result
-from bspframe.loop import RoundStat
-from bspframe.session import drop_table, table_path
+from bspframe.loop import Adaptive, RoundStat
+from bspframe.session import drop_table, shared_dir, table_path
 
 
 def _lists(g: Graph, p: Program) -> DataFrame:
@@ -66,36 +66,34 @@ def run_loop_mapreduce(g: Graph, p: Program, cache_invariant: bool = True, cache
     if not cache_invariant:
         return run_mapreduce(g, p, workdir)
     spark = g.spark
+    shared_dir(spark)
     n = int(spark.conf.get("spark.sql.shuffle.partitions"))
     level = getattr(StorageLevel, cache_level)
     base = workdir or table_path(spark, "loop-mapreduce")
-    graph = _lists(g, p).where("nbrs is not null").repartition(n, "id").sortWithinPartitions("id").persist(level)
-    path = f"{base}/round=0"
-    first_state(g, p).withColumn("old", F.col("value")).write.parquet(path)
-    schema = spark.read.parquet(path).schema
-    last = None
-    stats, number = [], 0
-    while number < p.max_rounds:
-        number += 1
-        began = time.perf_counter()
-        s = last if last is not None else spark.read.schema(schema).parquet(path)
-        if colocate and last is None:
-            s = s.repartition(n, "id")
-        senders = s.where("changed") if p.frontier else s
-        sent = graph.join(senders.select("id", "value"), "id").select("value", F.explode("nbrs").alias("e"))
-        sent = sent.select(F.col("e.dst").alias("id"), F.expr(p.send.replace("w", "e.w") if p.weight != "none" else p.send).cast(p.kind).alias("m"))
-        got = sent.groupBy("id").agg(p.combiner("m").alias("msg"))
-        new = s.select("id", F.col("value").alias("old")).join(got, "id", "left").withColumn("value", F.expr(p.apply.replace("value", "old")).cast(p.kind))
-        new = new.select("id", "value", F.expr(p.changed).alias("changed"), "old")
-        fresh = f"{base}/round={number}"
-        seen = _write(new, fresh).get
-        if last is not None:
-            last.unpersist()
-        last = spark.read.schema(schema).parquet(fresh).repartition(n, "id").persist(level) if cache_last else None
-        drop_table(path, spark) if not cache_last else None
-        path = fresh
-        stats.append(RoundStat(number, seen["changed"], seen["changed"], float(seen["change"]), time.perf_counter() - began))
-        if p.halt(stats[-1]):
-            break
-    graph.unpersist()
-    return Result(spark.read.schema(schema).parquet(path).select("id", "value"), number, stats)
+    with Adaptive(spark):
+        graph = _lists(g, p).where("nbrs is not null").repartition(n, "id").sortWithinPartitions("id").persist(level)
+        s = first_state(g, p).withColumn("old", F.col("value")).repartition(n, "id").checkpoint(eager=True)
+        stats, number = [], 0
+        while number < p.max_rounds:
+            number += 1
+            began = time.perf_counter()
+            if not colocate:
+                s = s.repartition(n)
+            senders = s.where("changed") if p.frontier else s
+            sent = graph.join(senders.select("id", "value"), "id").select("value", F.explode("nbrs").alias("e"))
+            sent = sent.select(F.col("e.dst").alias("id"), F.expr(p.send.replace("w", "e.w") if p.weight != "none" else p.send).cast(p.kind).alias("m"))
+            got = sent.groupBy("id").agg(p.combiner("m").alias("msg"))
+            new = s.select("id", F.col("value").alias("old")).join(got, "id", "left").withColumn("value", F.expr(p.apply.replace("value", "old")).cast(p.kind))
+            new = new.select("id", "value", F.expr(p.changed).alias("changed"), "old")
+            seen = Observation()
+            fresh = new.observe(seen, F.count_if("changed").alias("changed"), F.coalesce(F.max(F.expr(CHANGE)), F.lit(0.0)).alias("change")).checkpoint(eager=True)  # the round's files
+            got_ = seen.get
+            s.unpersist()
+            s = fresh.persist(level) if cache_last else fresh
+            stats.append(RoundStat(number, got_["changed"], got_["changed"], float(got_["change"]), time.perf_counter() - began))
+            if p.halt(stats[-1]):
+                break
+        s.select("id", "value").write.parquet(f"{base}/answer")
+        graph.unpersist()
+        s.unpersist()
+    return Result(spark.read.schema(f"id long, value {p.kind}").parquet(f"{base}/answer"), number, stats)

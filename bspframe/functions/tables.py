@@ -9,7 +9,6 @@ from pyspark.sql.functions import pandas_udf, udtf
 from bspframe.functions.hashing import KNUTH
 
 
-@udtf(returnType="src: bigint, dst: bigint")
 class AdjacencyLine:
     """``adjacency_line('7 1 2')`` gives (7, 1) and (7, 2)."""
 
@@ -19,15 +18,14 @@ class AdjacencyLine:
             yield n[0], d
 
 
-@pandas_udf("long")
-def portable_hash_udf(ids: pd.Series) -> pd.Series:
+def _portable_hash(ids: pd.Series) -> pd.Series:
     return ids.map(lambda x: None if pd.isna(x) else int(x) * KNUTH % (1 << 32)).astype("Int64")
 
 
 def register_sql(spark: SparkSession) -> None:
     """Registers ``adjacency_line`` and ``portable_hash``."""
-    spark.udtf.register("adjacency_line", AdjacencyLine)
-    spark.udf.register("portable_hash", portable_hash_udf)
+    spark.udtf.register("adjacency_line", udtf(AdjacencyLine, returnType="src: bigint, dst: bigint"))
+    spark.udf.register("portable_hash", pandas_udf(_portable_hash, "long"))
 
 
 def register_pagerank(spark: SparkSession, edges_view: str, out_view: str, rounds: int = 20) -> None:
