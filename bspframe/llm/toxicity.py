@@ -165,7 +165,8 @@ def train(docs: DataFrame, labels: DataFrame, rows: int = TRAIN_ROWS, penalty: f
     marked = marked.join(docs.select("doc_id").distinct(), "doc_id", "left_semi")
     sample = marked.withColumn("_o", F.xxhash64("doc_id")).orderBy("_o", "doc_id").limit(rows).select("doc_id", "toxic")
     joined = docs.select("doc_id", F.col("text").cast("string").alias("text")).join(F.broadcast(sample), "doc_id").select("text", "toxic")
-    return {r[0]: r[1] for r in joined.repartition(1).mapInArrow(partial(_fit_rows, penalty=penalty), "feature string, weight double").collect()}
+    model = joined.repartition(1).mapInArrow(partial(_fit_rows, penalty=penalty), "feature string, weight double").collect()
+    return {r[0]: r[1] for r in model} or {"": -40.0}
 
 
 class Scorer:
