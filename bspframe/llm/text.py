@@ -138,7 +138,7 @@ def shingle_sets(raw: np.ndarray, bounds: np.ndarray, width: int) -> list[np.nda
     return out
 
 
-def slices(batch: pa.RecordBatch, column: str, most: int = 4 << 20):
+def slices(batch: pa.RecordBatch, column: str, most: int = 2 << 20):
     """Cut a record batch so that each part holds about ``most`` bytes of text (or one row)."""
     _, bounds = buffers(batch.column(batch.schema.get_field_index(column)))
     a, n = 0, batch.num_rows

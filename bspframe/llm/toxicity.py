@@ -183,7 +183,7 @@ class Scorer:
                 f = known[w] = {x: self.model[x] for x in features_of(w) if x in self.model} or None
             if f:
                 hits.update(f)
-        if len(known) > 500_000:
+        if len(known) > 150_000:
             known.clear()
         z = self.bias + math.fsum(hits.values())
         return 1 / (1 + math.exp(-min(max(z, -40.0), 40.0)))
