@@ -13,12 +13,14 @@ from pyspark.sql import DataFrame, functions as F
 from bspframe.session import drop_table, materialise
 
 
-def contract_components(edges: DataFrame, max_rounds: int = 64, trace: list | None = None) -> DataFrame:
+def contract_components(edges: DataFrame, max_rounds: int = 64, trace: list | None = None, finish_below: int = 0) -> DataFrame:
     """``(src, dst)`` edges, direction ignored → ``(id, component)`` with component = least id reachable.
 
     Vertices are the ends of the edges; self-edges, repeated edges and edges with a null end are
     allowed (the last are ignored). An empty input gives an empty result.
-    ``trace`` collects one dict for each round.
+    ``trace`` collects one dict for each round. ``finish_below`` lets one task end the work by a serial kernel
+    as soon as so few edges are left (16 bytes each): contraction gets there at any scale, and it saves the last
+    rounds' small jobs.
     """
     both = edges.select(F.col("src").cast("long").alias("a"), F.col("dst").cast("long").alias("b")).dropna()
     work = both.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
@@ -26,7 +28,14 @@ def contract_components(edges: DataFrame, max_rounds: int = 64, trace: list | No
     labels = materialise(work.select(F.col("a").alias("id")).union(work.select("b")).distinct().withColumn("root", F.col("id")), "cc-labels")
     work_live = work.where("a <> b")
     for number in range(1, max_rounds + 1):
-        if work_live.isEmpty():
+        left = work_live.count() if finish_below else 0
+        if left == 0 if finish_below else work_live.isEmpty():
+            break
+        if left and left <= finish_below:
+            ends = work_live.repartition(1).mapInArrow(_serial, "root long, p long")
+            labels = materialise(labels.join(ends, "root", "left").select("id", F.coalesce("p", "root").alias("root")), "cc-labels")
+            if trace is not None:
+                trace.append({"round": number, "jumps": 0, "serial": left})
             break
         hook, jumps = _flat(work_live)
         moved = (
@@ -51,6 +60,21 @@ def contract_components(edges: DataFrame, max_rounds: int = 64, trace: list | No
     return labels.select("id", F.col("root").alias("component"))
 
 
+def _serial(batches):
+    """Least end of each component of a bounded number of edges."""
+    import numpy as np
+    import pyarrow as pa
+
+    from bspframe.engines.serial import single_wcc
+
+    parts = [(b.column(0).to_numpy(), b.column(1).to_numpy()) for b in batches]
+    if parts:
+        a, b = (np.concatenate(x) for x in zip(*parts))
+        ids, at = np.unique(np.concatenate([a, b]), return_inverse=True)
+        least = ids[single_wcc(at[: len(a)], at[len(a) :], len(ids))]
+        yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(least)], ["root", "p"])
+
+
 def _flat(edges: DataFrame) -> tuple[DataFrame, int]:
     """Each vertex with the root of the tree that hooking to the least neighbour puts it in."""
     ends = edges.select(F.col("a").alias("v"), F.col("b").alias("n")).union(edges.select("b", "a"))

@@ -9,7 +9,10 @@ from bspframe.engines import run
 from bspframe.engines.program import wcc_program
 from bspframe.graph import Graph, Result
 from bspframe.loop import Adaptive, RoundStat, Truncate, fixpoint, pin, superstep_loop
-from bspframe.session import drop_table, materialise
+from bspframe.session import drop_table, materialise, ship
+
+#: Edges left that one task may finish: 16 MB.
+FINISH = 1_000_000
 
 
 def wcc(g: Graph, method: str | None = None, engine: str = "vertex", directed: bool = False, reverse: str = "pre", **how) -> Result:
@@ -68,7 +71,8 @@ def _gather_both(g: Graph, truncate: Truncate | None = None) -> Result:
 def hook_jump(g: Graph) -> Result:
     """Hooking, pointer jumping and contraction: logarithmic rounds whatever the diameter."""
     trace: list = []
-    found = contract_components(g.edges, trace=trace)
+    ship(g.spark)
+    found = contract_components(g.edges, trace=trace, finish_below=FINISH)
     df = found if g.extra is None else found.union(g.extra.distinct().join(found, "id", "left_anti").select("id", F.col("id").alias("component")))
     return Result(df, len(trace), trace)
 
@@ -127,6 +131,7 @@ def _auto(g: Graph, probe: int = 8, share: float = 0.05) -> Result:
     lab = first.df.select("id", F.col("value").alias("l"))
     e = g.edges.join(lab.toDF("src", "ls"), "src").join(lab.toDF("dst", "ld"), "dst").select(F.col("ls").alias("src"), F.col("ld").alias("dst"))
     trace: list = []
-    roots = contract_components(e, trace=trace)
+    ship(g.spark)
+    roots = contract_components(e, trace=trace, finish_below=FINISH)
     df = lab.join(roots.toDF("l", "component"), "l", "left").select("id", F.coalesce("component", "l").alias("component"))
     return Result(df, first.rounds + len(trace), first.stats + trace)

@@ -57,12 +57,12 @@ def test_negative_controls(spark):
 
 def test_rank_invariants(spark, sf):
     g = B.co_purchase(spark, sf)
-    r = pagerank(g, max_rounds=12)
+    r = pagerank(g, max_rounds=40)
     n = g.vertices.count()
     kept = r.df.join(g.sinks(), "id", "left_anti").agg(F.sum("rank")).first()[0]
     total, least = r.df.agg(F.sum("rank"), F.min("rank")).first()
     assert abs(total - (0.15 * n + 0.85 * kept)) < 1e-6 * n and least >= 0.15 - 1e-12
-    assert [x.round for x in r.stats] == list(range(1, 13))
+    assert [x.round for x in r.stats] == list(range(1, 41))
     assert top_ranked(r.df, 3).count() == 3
 
 
@@ -105,6 +105,16 @@ def test_weighted_paths(spark):
     assert {r["id"]: r["dist"] for r in sssp(Graph.from_edges(e), 0, weight=True).df.collect()} == {0: 0.0, 1: 2.5, 2: 1.0}
 
 
+def test_contraction_without_the_serial_end(spark, sf):
+    from bspframe.algos.contract import contract_components
+
+    g, trace = B.order_ladder(spark, sf), []
+    assert {r[1] for r in contract_components(g.edges, trace=trace).collect()} == {g.vertices.agg(F.min("id")).first()[0]}
+    assert 1 < len(trace) < 20 and not any("serial" in t for t in trace)
+    ends = contract_components(g.edges, trace=(t := []), finish_below=800)
+    assert ends.select("component").distinct().count() == 1 and t[-1]["serial"] <= 800
+
+
 def test_empty_graph(spark):
     g = Graph.from_edges(spark.createDataFrame([], "src long, dst long"))
     assert pagerank(g, max_rounds=2).df.count() == 0 and wcc(g).df.count() == 0
