@@ -145,7 +145,8 @@ def run_limited(spark: SparkSession, fn, limit: float) -> tuple[str, float, obje
         exc = TimeoutError(str(e)) if over.is_set() else e
     finally:
         timer.cancel()
-        sc.setJobGroup("", "")
+        for key in ("spark.jobGroup.id", "spark.job.description", "spark.job.interruptOnCancel"):
+            sc.setLocalProperty(key, None)
     took = time.perf_counter() - at
     return Outcome.classify(exc, took, limit), took, value
 

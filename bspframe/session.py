@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import io
 import os
 import tempfile
 import uuid
@@ -15,20 +16,25 @@ _PACKAGE = os.path.dirname(os.path.abspath(__file__))
 def ship(spark: SparkSession) -> None:
     """Make this package importable by Python workers of any executor.
 
-    The sources go out as one zip by the driver's own file server, once for each
-    application, so that no executor needs a copy of the repository.
+    The sources go into one zip in the shared folder, once for each application, so that no executor needs a copy of
+    the repository.
     """
     sc = spark.sparkContext
     if getattr(sc, "_bspframe_shipped", False):
         return
-    out = os.path.join(tempfile.mkdtemp(), "bspframe.zip")
-    with zipfile.ZipFile(out, "w") as z:
+    packed = io.BytesIO()
+    with zipfile.ZipFile(packed, "w") as z:
         for top, _, names in os.walk(_PACKAGE):
             for name in names:
                 if name.endswith(".py"):
                     full = os.path.join(top, name)
                     z.write(full, os.path.relpath(full, os.path.dirname(_PACKAGE)))
-    sc.addPyFile(out)
+    target = f"{shared_dir(spark).rstrip('/')}/bspframe/code-{uuid.uuid4().hex}/bspframe.zip"
+    path = sc._jvm.org.apache.hadoop.fs.Path(target)
+    out = path.getFileSystem(sc._jsc.hadoopConfiguration()).create(path)
+    out.write(bytearray(packed.getvalue()))
+    out.close()
+    sc.addPyFile(target)
     sc._bspframe_shipped = True
 
 
