@@ -12,8 +12,8 @@ from bspframe.graph import Graph, Result
 from bspframe.loop import Adaptive, RoundStat, Truncate, pin
 from bspframe.session import shared_dir
 
-#: A frontier up to so many vertices is broadcast.
-SMALL = 100_000
+#: A frontier up to so many vertices (8 MB) is broadcast, and the edges are read as they lie.
+SMALL = 1_000_000
 
 
 def pick_source(g: Graph, seed: int = 1) -> int:
@@ -94,7 +94,8 @@ def _frontier(g: Graph, source: int, max_rounds: int | None, switch: bool, alpha
     every = (truncate or Truncate(8)).every
     with Adaptive(spark):
         n = int(spark.conf.get("spark.sql.shuffle.partitions"))
-        edges = pin(g.edges.select("src", "dst").where("src <> dst").distinct(), "src", n)
+        edges = g.edges.select("src", "dst").where("src <> dst").persist()
+        dealt = None  # by source, from the first frontier on that is too large to broadcast
         back = pin(edges.select("dst", "src"), "dst", n) if switch else None
         total = edges.count() if switch else 0
         front = spark.createDataFrame([(int(source), 0)], "id long, dist int")
@@ -113,7 +114,9 @@ def _frontier(g: Graph, source: int, max_rounds: int | None, switch: bool, alpha
                 open_ = back.join(visited.select(F.col("id").alias("dst")), "dst", "left_anti")
                 found = open_.join(lead, "src", "left_semi").select(F.col("dst").alias("id")).distinct()
             else:
-                found = edges.join(lead, "src", "left_semi").select(F.col("dst").alias("id")).distinct()
+                if size > SMALL and dealt is None:
+                    dealt = pin(edges, "src", n)
+                found = (edges if size <= SMALL else dealt).join(lead, "src", "left_semi").select(F.col("dst").alias("id")).distinct()
                 found = found.join(visited.select("id"), "id", "left_anti")
             seen = Observation()
             front = found.withColumn("dist", F.lit(level)).observe(seen, F.count("*").alias("n")).checkpoint(eager=True)
@@ -124,5 +127,7 @@ def _frontier(g: Graph, source: int, max_rounds: int | None, switch: bool, alpha
                 visited = visited.repartition(n, "id").checkpoint(eager=True)
             if not size:
                 break
-        edges.unpersist()
+        for df in (edges, dealt, back):
+            if df is not None:
+                df.unpersist()
     return Result(visited.select("id", "dist"), level, stats)
