@@ -91,6 +91,7 @@ def scan(versions: DataFrame, ledger: str | None = None, rules=RULES) -> DataFra
     fresh = texts.mapInArrow(partial(_scan, rules=rules), "blob string, findings array<struct<kind:string,start:int,end:int>>").withColumn("rule_version", F.lit(version))
     fresh.write.mode("append").partitionBy("rule_version").parquet(path)
     known = _ledger(spark, path).where(F.col("rule_version") == version).dropDuplicates(["blob"]).select("blob", "findings")
+    known = materialise(known, "findings")  # apart from the join, so that a blob with very many paths can be split there
     return versions.withColumn("blob", F.sha2(F.coalesce(F.col("text").cast("string"), F.lit("")), 256)).join(known, "blob")
 
 
