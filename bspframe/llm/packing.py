@@ -14,6 +14,7 @@ an empty table gives no rows.
 from __future__ import annotations
 
 import base64
+import re
 import zlib
 from functools import partial
 
@@ -27,6 +28,10 @@ from bspframe.session import materialise, ship
 
 CAPACITY, END = 1024, 2
 _loaded: dict = {}
+#: Unicode white space, as both encoders' patterns know it.
+_BLANKS = re.compile("[\t-\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000]+")
+#: Runs of more white space are kept from the rank encoder, whose regex engine gives up at about a million.
+LONG_RUN = 100_000
 
 
 def _tokenizer(path: str):
@@ -65,7 +70,32 @@ def _rank_encoder(path: str):
     if made != sorted(made):
         return None
     enc = tiktoken.Encoding("by-rank", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
-    return lambda text: enc.encode_to_numpy(text, disallowed_special=())
+    encode = lambda text: enc.encode_to_numpy(text, disallowed_special=())
+    plain: list = []
+
+    def checked(text: str) -> np.ndarray:
+        try:
+            return encode(text)
+        except ValueError:  # the engine's stack is full
+            plain.extend([] if plain else [_plain_encoder(path)])
+            return np.concatenate([(plain[0] if run else encode)(part) for part, run in _around_runs(text)])
+
+    return checked
+
+
+def _around_runs(text: str):
+    """Parts of a text and whether each is a long run of white space, cut where matches of the pattern end.
+
+    A run is one match, less its last character where more text follows.
+    """
+    at = 0
+    for m in _BLANKS.finditer(text):
+        if m.end() - m.start() > LONG_RUN:
+            end = m.end() - (m.end() < len(text))
+            yield text[at : m.start()], False
+            yield text[m.start() : end], True
+            at = end
+    yield text[at:], False
 
 
 def _pieces(batches, path: str, capacity: int, end: int):

@@ -415,6 +415,20 @@ def test_packing(spark, docs, hard, none):
     assert all((packing._tokenizer(path)(x or "") == plain(x or "")).all() for x in [*TEXTS, "<|endoftext|> 12345 ⅷ ² \u00a0\u3000x\r\n\t  y's 'S it'Re"])
 
 
+def test_packing_long_runs_of_blanks(spark):
+    from tokenizers import Tokenizer
+
+    path = P.path("byte_bpe_50k.json")
+    t, n = Tokenizer.from_file(path), 1_200_000
+    texts = [" " * n, "a\n" + "\n" * n + "b", "it's" + " " * n + "\u3000x" + "\t" * n, "a " * 10 + "\u2003" * n + "12"]
+    encode = lambda x: t.encode(x, add_special_tokens=False).ids
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    _check_packing(packing.pack(df, path).collect(), list(enumerate(texts)), encode)
+    for tail in ("", "b", " b", "\nb", "\u3000", "'s"):
+        mixed = "x y" + " \n" * (n // 2) + tail
+        assert (packing._tokenizer(path)(mixed) == np.array(encode(mixed), "<u4")).all()
+
+
 @pytest.mark.parametrize("seed", range(4))
 def test_packing_plans(seed):
     rng = random.Random(seed)
