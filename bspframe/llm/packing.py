@@ -35,7 +35,7 @@ LONG_RUN = 100_000
 
 
 def _tokenizer(path: str):
-    """The file's tokenizer for plain text. A byte-level BPE file is run by its equal rank table, which is quicker."""
+    """The file's tokenizer. A byte-level BPE file is run by its equal rank table, which is quicker."""
     if path not in _loaded:
         _loaded[path] = _rank_encoder(path) or _plain_encoder(path)
     return _loaded[path]
@@ -45,7 +45,6 @@ def _plain_encoder(path: str):
     from tokenizers import Tokenizer
 
     t = Tokenizer.from_file(path)
-    t.encode_special_tokens = True
     return lambda text: np.array(t.encode(text, add_special_tokens=False).ids, "<u4")
 
 
@@ -63,14 +62,17 @@ def _rank_encoder(path: str):
 
     shown = [b for b in range(256) if 33 <= b <= 126 or 161 <= b <= 172 or 174 <= b <= 255]
     letters = {chr(b): b for b in shown} | {chr(256 + i): b for i, b in enumerate(b for b in range(256) if b not in shown)}
-    special = {a["content"] for a in spec.get("added_tokens") or []}
+    added = spec.get("added_tokens") or []
+    if any(a.get(k) for a in added for k in ("single_word", "lstrip", "rstrip", "normalized")):
+        return None
+    special = {a["content"]: a["id"] for a in added}
     ranks = {bytes(letters[c] for c in t): i for t, i in model["vocab"].items() if t not in special}
     order = [m if isinstance(m, list) else m.split(" ") for m in model["merges"]]
     made = [model["vocab"]["".join(m)] for m in order]
     if made != sorted(made):
         return None
-    enc = tiktoken.Encoding("by-rank", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
-    encode = lambda text: enc.encode_to_numpy(text, disallowed_special=())
+    enc = tiktoken.Encoding("by-rank", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens=special)
+    encode = lambda text: enc.encode_to_numpy(text, allowed_special="all")
     plain: list = []
 
     def checked(text: str) -> np.ndarray:
@@ -78,7 +80,8 @@ def _rank_encoder(path: str):
             return encode(text)
         except ValueError:  # the engine's stack is full
             plain.extend([] if plain else [_plain_encoder(path)])
-            return np.concatenate([(plain[0] if run else encode)(part) for part, run in _around_runs(text)])
+            whole = re.split("(" + "|".join(map(re.escape, special)) + ")", text) if special else [text]  # no match goes across an added token
+            return np.concatenate([(plain[0] if run else encode)(part) for segment in whole for part, run in _around_runs(segment)])
 
     return checked
 

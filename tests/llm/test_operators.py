@@ -429,6 +429,20 @@ def test_packing_long_runs_of_blanks(spark):
         assert (packing._tokenizer(path)(mixed) == np.array(encode(mixed), "<u4")).all()
 
 
+def test_packing_knows_the_added_token(spark):
+    from tokenizers import Tokenizer
+
+    path, end = P.path("byte_bpe_50k.json"), "<|endoftext|>"
+    t, n = Tokenizer.from_file(path), 1_200_000
+    texts = [end, f"one{end}two", f" {end} {end}{end}\n\n{end}x", f"<|endoftext|{end}|>", f"a \n {end}" + " " * n + end + "b" + "\n" * n + f"{end} c", end.upper()]
+    encode = lambda x: t.encode(x, add_special_tokens=False).ids
+    assert encode(end) == [50256]
+    for made in (packing._tokenizer(path), packing._plain_encoder(path)):
+        assert all((made(x) == np.array(encode(x), "<u4")).all() for x in texts)
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    _check_packing(packing.pack(df, path).collect(), list(enumerate(texts)), encode)
+
+
 @pytest.mark.parametrize("seed", range(4))
 def test_packing_plans(seed):
     rng = random.Random(seed)
