@@ -164,6 +164,51 @@ def test_temporal(spark):
     assert [tuple(r) for r in asof_edges(left, right, "k", "ts", "i").collect()] == [(4, 3)]
 
 
+def _knn_brute(rows, k):
+    from decimal import ROUND_HALF_UP, Decimal
+
+    def near(x, y):
+        if x is None or y is None or len(x) != len(y) or None in x or None in y:
+            return -9
+        dot = lambda p, q: sum((i * j for i, j in zip(p, q)), 0.0)
+        a, b = dot(x, x) ** 0.5, dot(y, y) ** 0.5
+        return Decimal(repr(dot(x, y) / a / b)).quantize(Decimal("1e-9"), ROUND_HALF_UP) if a and b else -9
+
+    out = []
+    for i, x in rows:
+        best = sorted((-near(x, y), j) for j, y in rows if i is not None and j is not None and j != i)[:k]
+        out += [(i, j, n + 1) for n, (_, j) in enumerate(best)] if i is not None else []
+    return sorted(out)
+
+
+def test_knn_in_blocks(spark, monkeypatch):
+    """Ties, copies, null and zero vectors, other widths, a null id; more blocks than one on either side."""
+    import random
+
+    from bspframe.operators import knn
+
+    rng = random.Random(5)
+    rows = [(i, [rng.gauss(0, 1) for _ in range(6)]) for i in range(90)] + [(i, [float(rng.randrange(-1, 2)) for _ in range(6)]) for i in range(90, 180)]
+    rows += [(180, None), (181, [0.0] * 6), (182, [1.0, 2.0]), (183, [2.0, 4.0]), (184, [1.0, None, 1.0, 1.0, 1.0, 1.0]), (185, []), (None, [1.0] * 6)]
+    df = spark.createDataFrame(rows, "id long, embedding array<double>")
+    for block, queries in ((8192, 256), (40, 7)):
+        monkeypatch.setattr(knn, "BLOCK", block)
+        monkeypatch.setattr(knn, "QUERIES", queries)
+        assert sorted(map(tuple, knn.knn_edges(df, 5).collect())) == _knn_brute(rows, 5)
+    assert knn.knn_edges(df.limit(0), 5).count() == 0
+
+
+def test_knn_has_no_row_limit(spark):
+    """On the unit circle the nearest two of a point are its neighbours: 8e-9 from it in cosine, the next 3e-8."""
+    from bspframe.operators.knn import knn_edges
+
+    n = 50_100
+    df = spark.range(n).select("id", F.expr(f"array(cos(2 * pi() * id / {n}), sin(2 * pi() * id / {n}))").alias("embedding"))
+    got = knn_edges(df, 2)
+    far = F.abs(F.col("src") - F.col("dst"))
+    assert got.agg(F.count("*"), F.sum((F.least(far, n - far) > 1).cast("int"))).first() == (2 * n, 0)
+
+
 def test_sql_functions(spark, sf):
     register_sql(spark)
     assert [tuple(r) for r in spark.sql("SELECT * FROM adjacency_line('7 1 2')").collect()] == [(7, 1), (7, 2)]
