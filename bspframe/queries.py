@@ -123,6 +123,7 @@ query("sssp_weighted", lambda s, d: sp.sssp(Graph(B.handoff(s, d).edges.withColu
 query("sssp_parent", lambda s, d: sp.sssp(B.handoff(s, d), 0, with_parent=True).df, None)
 query("khop_recursive", lambda s, d: sp.khop(B.handoff(s, d), 0, 2, engine="recursive_sql").df, O.hops("handoff", 0, k=2))
 query("khop_many_social", lambda s, d: sp.khop_many(B.co_purchase(s, d), read_table(s, d, "part").where("p_partkey < 50").select(F.col("p_partkey").alias("id")), 2).df, O.khop_many("co_purchase", "SELECT p_partkey AS id FROM part WHERE p_partkey < 50", 2))
+query("khop_many_every50_social", lambda s, d: sp.khop_many(B.co_purchase(s, d), read_table(s, d, "part").where("p_partkey % 50 = 0").select(F.col("p_partkey").alias("id")), 2).df, O.khop_many("co_purchase", "SELECT p_partkey AS id FROM part WHERE p_partkey % 50 = 0", 2))
 
 # partitioners and their measures
 _rf = lambda how, p, **k: lambda s, d: quality.replication_factor(how(B.co_purchase(s, d), p, **k))

@@ -22,6 +22,25 @@ def test_oracle(spark, sf, con, name):
     assert same(con, Q.ORACLES[name], Q.QUERIES[name](spark, sf))
 
 
+def test_many_sources_over_the_whole_table(spark, sf, con):
+    """Every source whose id is divisible by 50, against its SQL and against plain breadth-first search."""
+    from bspframe import builders as B
+
+    got = Q.QUERIES["khop_many_every50_social"](spark, sf)
+    assert same(con, Q.ORACLES["khop_many_every50_social"], got)
+    out: dict = {}
+    for a, b in B.co_purchase(spark, sf).edges.select("src", "dst").collect():
+        out.setdefault(a, set()).add(b)
+    want = set()
+    for (v,) in con.sql("select p_partkey from part where p_partkey % 50 = 0").fetchall():
+        seen, front = {v: 0}, {v}
+        for k in (1, 2):
+            front = {y for x in front for y in out.get(x, ())} - seen.keys()
+            seen.update(dict.fromkeys(front, k))
+        want |= {(v, i, n) for i, n in seen.items()}
+    assert {(r["source"], r["id"], r["dist"]) for r in got.collect()} == want and max(w[0] for w in want) >= 50
+
+
 def test_tolerance_run_has_its_rounds(spark, sf):
     from bspframe import builders as B
     from bspframe.algos.pagerank import pagerank
