@@ -33,10 +33,24 @@ def drop_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document, the least doc_id, of each group of near duplicates stays (five words, 0.8)."""
-    found = ngram_join.jaccard_components(docs.select("doc_id", "text"), width=5, num=80, den=100)
-    gone = found.where("component_id <> doc_id").select("doc_id")
-    return docs.select(*COLUMNS).join(gone, "doc_id", "left_anti").select(*COLUMNS)
+    """One document, the least doc_id, of each group of near duplicates stays (five words, 0.8).
+
+    Texts of a repeated or null doc_id are documents of their own; of identical rows one stays.
+    """
+    docs = docs.select(*COLUMNS)
+    if docs.groupBy("doc_id").count().where("count > 1 or doc_id is null").isEmpty():
+        return docs.join(_near_copies(docs.select("doc_id", "text")), "doc_id", "left_anti").select(*COLUMNS)
+    rows = materialise(docs.withColumn("_print", F.xxhash64(F.coalesce("text", F.lit("")))).dropDuplicates(["doc_id", "_print"]), "rows")
+    order = [F.col("doc_id").asc_nulls_last(), F.col("_print").asc()]
+    keyed = materialise(rows.repartitionByRange(*order).sortWithinPartitions(*order).withColumn("_key", F.monotonically_increasing_id()), "keyed")  # keys rise with doc_id
+    gone = _near_copies(keyed.select(F.col("_key").alias("doc_id"), "text")).withColumnRenamed("doc_id", "_key")
+    return keyed.join(gone, "_key", "left_anti").select(*COLUMNS)
+
+
+def _near_copies(docs: DataFrame) -> DataFrame:
+    """doc_id of documents that are near duplicates of one of a lesser doc_id, over any number of steps."""
+    found = ngram_join.jaccard_components(docs, width=5, num=80, den=100)
+    return found.where("component_id <> doc_id").select("doc_id")
 
 
 def redact_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -515,3 +515,17 @@ def test_pipeline(spark, sf):
     whole = C.run(spark, sf)
     assert whole.count() > 0
     d.unpersist()
+
+
+def test_near_copies_of_repeated_ids(spark):
+    import corpus_pipeline as C
+
+    words = lambda c, n=60: " ".join(f"{c}{i}" for i in range(n))
+    a, b, c, d = (words(x) for x in "abcd")
+    rows = [(3, a), (5, a + " end"), (5, b), (5, b), (6, b + " end"), (7, "short"), (7, "short"), (8, None), (8, None), (9, c), (9, c + " end"), (None, a), (None, d), (None, d)]
+    df = spark.createDataFrame([(i, t, "en", "s", len(t or "")) for i, t in rows], "doc_id long, text string, lang string, source string, n_chars long").repartition(3)
+    got = C.drop_near_copies(spark, df, "")
+    kept = [(r["doc_id"], r["text"]) for r in got.collect()]
+    nine = [k for k in kept if k[0] == 9]
+    assert len(nine) == 1 and nine[0] in rows and got.columns == C.COLUMNS
+    assert sorted((k for k in kept if k[0] != 9), key=str) == sorted([(3, a), (5, b), (7, "short"), (8, None), (None, d)], key=str)
