@@ -225,6 +225,19 @@ def test_jaccard_join_salted_lists(spark, monkeypatch):
     assert sorted(map(tuple, got.collect())) == _join_brute(rows, 3, 60, 100)
 
 
+def test_jaccard_join_tiles_meet_once(spark):
+    """Whole tiles that follow each other are not compared; whole small blocks may share a comparison."""
+    text = " ".join(f"w{i}" for i in range(60))
+
+    def links(tasks):
+        rows = [(t, s, i, 1, text + " x" * i) for t, s, i in tasks]
+        batch = pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows), (pa.string(), pa.int32(), pa.int64(), pa.int64(), pa.string()))], ["task", "side", "id", "copies", "text"])
+        return sorted((i, n) for b in ngram_join._verify([batch], 3, 80, 100) for i, n in zip(b.column(0).to_pylist(), b.column(2).to_pylist()))
+
+    assert links([("7:12:0:0", 0, 1), ("7:13:0:0", 0, 2)]) == []
+    assert links([("7:12:0:0", 0, 1), ("7:12:0:up:0", 1, 1), ("7:12:0:up:0", 2, 2), ("7:13:0:0", 0, 2), ("8", 0, 3), ("9", 0, 4)])[:2] == [(1, 1), (2, 1)]
+
+
 def test_jaccard_join_hard_rows(hard, none):
     got = ngram_join.jaccard_components(hard, 3, 90, 100).collect()
     assert len(got) == hard.count() and ngram_join.jaccard_components(none).count() == 0
