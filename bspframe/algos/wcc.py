@@ -11,9 +11,6 @@ from bspframe.graph import Graph, Result
 from bspframe.loop import Adaptive, RoundStat, Truncate, fixpoint, pin, superstep_loop
 from bspframe.session import drop_table, materialise, ship
 
-#: Edges left that one task may finish: 16 MB.
-FINISH = 1_000_000
-
 
 def wcc(g: Graph, method: str | None = None, engine: str = "vertex", directed: bool = False, reverse: str = "pre", **how) -> Result:
     """``method``: hook_jump (default), min_label, hash_to_min, star, block, auto.
@@ -26,7 +23,7 @@ def wcc(g: Graph, method: str | None = None, engine: str = "vertex", directed: b
     if method == "auto":
         return _auto(g)
     if method == "hook_jump":
-        return hook_jump(g)
+        return hook_jump(g, **how)
     if method == "star":
         return star(g)
     if method == "hash_to_min":
@@ -68,11 +65,14 @@ def _gather_both(g: Graph, truncate: Truncate | None = None) -> Result:
     return Result(state.select("id", F.col("value").alias("component")), done, stats)
 
 
-def hook_jump(g: Graph) -> Result:
-    """Hooking, pointer jumping and contraction: logarithmic rounds whatever the diameter."""
+def hook_jump(g: Graph, finish_below: int = 0) -> Result:
+    """Hooking, pointer jumping and contraction: logarithmic rounds whatever the diameter.
+
+    ``finish_below`` is the explicit wish for a serial end once so few edges are left.
+    """
     trace: list = []
     ship(g.spark)
-    found = contract_components(g.edges, trace=trace, finish_below=FINISH)
+    found = contract_components(g.edges, trace=trace, finish_below=finish_below)
     df = found if g.extra is None else found.union(g.extra.distinct().join(found, "id", "left_anti").select("id", F.col("id").alias("component")))
     return Result(df, len(trace), trace)
 
@@ -132,6 +132,6 @@ def _auto(g: Graph, probe: int = 8, share: float = 0.05) -> Result:
     e = g.edges.join(lab.toDF("src", "ls"), "src").join(lab.toDF("dst", "ld"), "dst").select(F.col("ls").alias("src"), F.col("ld").alias("dst"))
     trace: list = []
     ship(g.spark)
-    roots = contract_components(e, trace=trace, finish_below=FINISH)
+    roots = contract_components(e, trace=trace)
     df = lab.join(roots.toDF("l", "component"), "l", "left").select("id", F.coalesce("component", "l").alias("component"))
     return Result(df, first.rounds + len(trace), first.stats + trace)

@@ -8,7 +8,7 @@ import tempfile
 import uuid
 import zipfile
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, Observation, SparkSession, functions as F
 
 _PACKAGE = os.path.dirname(os.path.abspath(__file__))
 
@@ -41,13 +41,15 @@ def ship(spark: SparkSession) -> None:
 def shared_dir(spark: SparkSession) -> str:
     """The folder that driver and executors share: ``spark.checkpoint.dir`` of the session.
 
-    Only where that is unset (local tests) a temporary folder is made and set.
+    Only under a local master, where driver and executors are one machine, is a temporary folder made where it is unset.
     """
     sc = spark.sparkContext
     base = spark.conf.get("spark.checkpoint.dir", None) or sc.getConf().get("spark.checkpoint.dir")
     if not base:
         base = getattr(sc, "_bspframe_shared", None)
         if base is None:
+            if not sc.master.startswith("local"):
+                raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
             base = sc._bspframe_shared = "file://" + tempfile.mkdtemp(prefix="bspframe-")
     if not sc._jsc.sc().getCheckpointDir().isDefined():
         sc.setCheckpointDir(base)
@@ -67,6 +69,14 @@ def materialise(df: DataFrame, name: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def materialise_counting(df: DataFrame, name: str, **counts: str) -> tuple[DataFrame, dict[str, int]]:
+    """As :func:`materialise`; the same job counts the rows for which each of the SQL conditions ``counts`` holds."""
+    seen = Observation()
+    path = table_path(df.sparkSession, name)
+    df.observe(seen, *[F.count_if(F.expr(sql)).alias(k) for k, sql in counts.items()]).write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path), seen.get
+
+
 def drop_table(df_or_path, spark: SparkSession | None = None) -> None:
     """Delete what :func:`materialise` wrote, as soon as nothing reads it any more."""
     if isinstance(df_or_path, DataFrame):
