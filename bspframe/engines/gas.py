@@ -6,6 +6,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, functions as F
 
+from bspframe.engines.dealing import Dealt, deal, held, hub_ids, spread_join
 from bspframe.engines.program import Program, first_state, message_edges
 from bspframe.engines.vertex import CHANGE
 from bspframe.graph import Graph, Result
@@ -16,66 +17,83 @@ from bspframe.partitioners.cuts import vertex_cut
 DEAL = 2654435761
 
 
-def run_gas(g: Graph, p: Program, mode: str = "sync", cut: str = "random", machines: int = 8, stop: str = "I", tol: float = 1e-3, sweeps: int = 2, inner: int = 2, gather: str = "in", truncate: Truncate | None = None, max_rounds: int | None = None) -> Result:
-    """Gather over edges, apply, scatter to activate.
+def run_gas(g: Graph, p: Program, mode: str = "sync", cut: str = "random", machines: int = 8, stop: str = "I", tol: float = 1e-3, sweeps: int = 2, inner: int = 2, gather: str = "in", scatter: str = "out", truncate: Truncate | None = None, max_rounds: int | None = None) -> Result:
+    """Gather over in-edges, apply, scatter over out-edges to wake neighbours.
 
     ``cut`` (random, grid, pds, greedy, auto, none) places edges; each part sums what it gathers and the parts' sums are
-    merged by vertex. ``stop='T'`` lets vertices whose change is at most ``tol`` go quiet until a neighbour
-    scatters; ``'I'`` keeps the program's own halting. ``mode='async'`` runs ``sweeps`` classes of vertices one after
-    the other inside a round, each reading the newest values; ``'async-local'`` makes ``inner`` passes inside each part
-    between exchanges. ``gather='both'`` reads each edge from both ends.
+    merged by vertex, in every mode. ``stop='T'`` lets vertices whose change is at most ``tol`` go quiet until a neighbour
+    scatters to them: a round reads the out-edges of moved vertices and the in-edges of woken ones, no others. ``'I'`` keeps
+    the program's own halting. ``mode='async'`` runs ``sweeps`` classes of vertices one after the other inside a
+    round, each reading the newest values; ``'async-local'`` makes ``inner`` passes inside each part between exchanges.
+    ``gather='both'`` reads each edge from both ends; ``scatter`` (out, in, both) says along which edges neighbours are woken.
     """
     if gather == "both" and not p.both:
         g = g.undirect()
     rounds = max_rounds or p.max_rounds
     if mode == "async-local":
         return _local(g, p, machines, inner, tol, truncate, rounds)
+    n = int(g.spark.conf.get("spark.sql.shuffle.partitions"))
     with Adaptive(g.spark):
-        edges = message_edges(g, p)
+        kept = held(g, n, p.both)
+        placed = message_edges(kept.graph, p, kept.hubs)
         if cut != "none":
-            edges = vertex_cut(Graph(edges), machines, cut).select("src", "dst", "w", "part")
-        edges = pin(edges, "src")
-        state = pin(first_state(g, p).withColumn("old", F.col("value")), "id")
+            placed = vertex_cut(Graph(placed), machines, cut).select("src", "dst", "w", "part")
+        edges = deal(placed, "src", n, kept.hubs)
+        state = pin(first_state(kept.graph, p).withColumn("old", F.col("value")), "id", n)
+        keys = ["dst"] if cut == "none" else ["part", "dst"]
+
+        def merged(sent: DataFrame) -> DataFrame:
+            """(id, msg): sums of the parts, then of the replicas."""
+            got = sent.groupBy(*keys).agg(p.combiner(F.expr(p.send).cast(p.kind)).alias("msg"))
+            return (got if cut == "none" else got.groupBy("dst").agg(p.combiner("msg").alias("msg"))).withColumnRenamed("dst", "id")
+
         if mode == "async":
-            return _sweeps(p, edges, state, sweeps, tol if stop == "T" or p.combine == "sum" else 0.0, truncate, rounds)
-        moved = f"abs(value - old) > {tol!r}D" if stop == "T" and p.combine == "sum" else p.changed
-        quiet = stop == "T" or p.frontier
+            run = _sweeps(p, edges, merged, state, sweeps, tol if stop == "T" or p.combine == "sum" else 0.0, truncate, rounds)
+            edges.unpersist()
+            kept.release()
+            return run
+        quiet = stop == "T" and p.combine == "sum"
+        moved = f"abs(value - old) > {tol!r}D" if quiet else p.changed
+        into = deal(placed, "dst", n, hub_ids(kept.graph.edges, "dst", n)) if quiet else None
 
         def step(s: DataFrame, number: int) -> DataFrame:
-            if p.frontier:
-                senders = edges.join(s.where("changed").select(F.col("id").alias("src"), "value"), "src")
+            if quiet and number > 1:
+                loud = s.where("changed").select("id")
+                along = [(edges, "dst")] if scatter != "in" else []
+                along += [(into, "src")] if scatter != "out" else []
+                hit = None
+                for side, end in along:
+                    one = side.meet(loud).select(F.col(end).alias("id"))
+                    hit = one if hit is None else hit.union(one)
+                hit = hit.distinct()
+                read = into.meet(hit).select("src", "dst", "w", *keys[:-1])
+                got = merged(spread_join(read, s.select(F.col("id").alias("src"), "value"), "src", kept.hubs))
+                new = s.select("id", F.col("value").alias("old")).join(got, "id", "left").join(hit.withColumn("woken", F.lit(True)), "id", "left")
+                value = F.when(F.col("woken"), F.expr(p.apply.replace("value", "old")).cast(p.kind)).otherwise(F.col("old"))
             else:
-                senders = edges.join(s.select(F.col("id").alias("src"), "value", "changed"), "src")
-            keys = ["part", "dst"] if cut != "none" else ["dst"]
-            more = [] if p.frontier else [F.bool_or("changed").alias("woken")]
-            got = senders.groupBy(*keys).agg(p.combiner(F.expr(p.send).cast(p.kind)).alias("msg"), *more)
-            if cut != "none":  # replicas' sums meet
-                got = got.groupBy("dst").agg(p.combiner("msg").alias("msg"), *([F.bool_or("woken").alias("woken")] if more else []))
-            new = s.select("id", F.col("value").alias("old")).join(got.withColumnRenamed("dst", "id"), "id", "left")
-            value = F.expr(p.apply.replace("value", "old")).cast(p.kind)
-            if quiet and more and number > 1:
-                value = F.when(F.col("woken"), value).otherwise(F.col("old"))
+                got = merged(edges.meet((s.where("changed") if p.frontier else s).select("id", "value")))
+                new = s.select("id", F.col("value").alias("old")).join(got, "id", "left")
+                value = F.expr(p.apply.replace("value", "old")).cast(p.kind)
             return new.withColumn("value", value).select("id", "value", F.expr(moved).alias("changed"), "old")
 
         halt = (lambda st: st.changed == 0) if stop == "T" else p.halt
         state, done, stats = superstep_loop(state, step, halt, rounds, truncate, change=CHANGE)
-        edges.unpersist()
+        for dealt in (edges, into):
+            if dealt is not None:
+                dealt.unpersist()
+        kept.release()
     return Result(state.select("id", "value"), done, stats)
 
 
-def _sweeps(p: Program, edges: DataFrame, state: DataFrame, sweeps: int, tol: float, truncate: Truncate | None, rounds: int) -> Result:
+def _sweeps(p: Program, edges: Dealt, merged, state: DataFrame, sweeps: int, tol: float, truncate: Truncate | None, rounds: int) -> Result:
     """Deterministic Gauss-Seidel: class after class of ids joins the latest state; no locks."""
     cls = lambda c: F.pmod(F.col(c) * F.lit(DEAL), F.lit(sweeps))
-    edges = edges.drop("part")
-    begin = {"s": state.withColumn("begin", F.col("value"))}
 
     def step(s: DataFrame, number: int) -> DataFrame:
         j = (number - 1) % sweeps
         if j == 0:
-            begin["s"] = s.withColumn("begin", F.col("value"))
-            s = begin["s"]
-        sent = edges.where(cls("dst") == j).join(s.select(F.col("id").alias("src"), "value"), "src").select(F.col("dst").alias("id"), F.expr(p.send).cast(p.kind).alias("m"))
-        got = sent.groupBy("id").agg(p.combiner("m").alias("msg"))
+            s = s.withColumn("begin", F.col("value"))
+        got = merged(edges.meet(s.select("id", "value")).where(cls("dst") == j))
         new = s.select("id", F.col("value").alias("old"), "begin").join(got, "id", "left")
         value = F.when(cls("id") == j, F.expr(p.apply.replace("value", "old")).cast(p.kind)).otherwise(F.col("old"))
         return new.withColumn("value", value).select("id", "value", F.expr(p.changed).alias("changed"), "old", "begin")
@@ -91,7 +109,6 @@ def _sweeps(p: Program, edges: DataFrame, state: DataFrame, sweeps: int, tol: fl
 
     state = state.withColumn("begin", F.col("value"))
     state, done, stats = superstep_loop(state, step, halt, rounds * sweeps, truncate, change=CHANGE)
-    edges.unpersist()
     return Result(state.select("id", "value"), -(-done // sweeps), stats)
 
 

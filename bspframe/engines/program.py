@@ -33,6 +33,7 @@ class Program:
     active: str = "true"  # which vertices send in the first round, over id
     halt: Halt = fixpoint()
     max_rounds: int = 10_000
+    fixed: int | None = None  # rounds, where nothing else ends the run
     # the same in Python, for the engines whose subject is not Catalyst
     py: tuple[Callable, Callable, Callable, Callable] | None = None  # init(id), send(value, w), combine(a, b), apply(value, msg)
 
@@ -49,7 +50,7 @@ def pagerank_program(delta: float = 0.15, init: float = 1.0, tol: float | None =
     d = repr(1 - delta)
     return Program(
         "pagerank", "double", repr(float(init)) + "D", "value * w", "sum", f"{delta!r}D + {d}D * coalesce(msg, 0D)", "value <> old", weight="share",
-        halt=halt, max_rounds=k or max_rounds, py=(lambda i: float(init), lambda v, w: v * w, lambda a, b: a + b, lambda v, m: delta + (1 - delta) * (m or 0.0)),
+        halt=halt, max_rounds=k or max_rounds, fixed=k, py=(lambda i: float(init), lambda v, w: v * w, lambda a, b: a + b, lambda v, m: delta + (1 - delta) * (m or 0.0)),
     )
 
 
@@ -68,14 +69,19 @@ def hops_program(source: int, k: int | None = None, weighted: bool = False) -> P
     )
 
 
-def message_edges(g: Graph, p: Program) -> DataFrame:
-    """(src, dst, w) along which the program's messages go; the loop-invariant side of every engine."""
+def message_edges(g: Graph, p: Program, hubs: list[int] | None = None) -> DataFrame:
+    """(src, dst, w) along which the program's messages go; the loop-invariant side of every engine.
+
+    ``hubs`` are sources whose edges must not meet in one task.
+    """
+    from bspframe.engines.dealing import spread_join
+
     e = g.edges
     given = "w" in e.columns
     if p.weight == "share":
         by = F.sum("w") if given else F.count("*")
         total = e.groupBy("src").agg(by.alias("_t"))
-        e = e.join(total, "src").select("src", "dst", ((F.col("w") if given else F.lit(1.0)) / F.col("_t")).alias("w"))
+        e = spread_join(e, total, "src", hubs or []).select("src", "dst", ((F.col("w") if given else F.lit(1.0)) / F.col("_t")).alias("w"))
     else:
         e = e.select("src", "dst", (F.col("w") if given and p.weight == "given" else F.lit(1.0)).alias("w"))
     if p.both:
@@ -88,4 +94,4 @@ def first_state(g: Graph, p: Program) -> DataFrame:
 
 
 def with_rounds(p: Program, k: int) -> Program:
-    return replace(p, halt=rounds(k), max_rounds=k)
+    return replace(p, halt=rounds(k), max_rounds=k, fixed=k)
