@@ -10,7 +10,7 @@ from bspframe.engines import run
 from bspframe.engines.program import hops_program
 from bspframe.graph import Graph, Result
 from bspframe.loop import Adaptive, RoundStat, Truncate, pin
-from bspframe.session import shared_dir
+from bspframe.session import checkpointed, shared_dir
 
 #: A frontier up to so many vertices (8 MB) is broadcast, and the edges are read as they lie.
 SMALL = 1_000_000
@@ -82,7 +82,7 @@ def khop_many(g: Graph, sources: DataFrame, k: int = 3) -> Result:
             stats.append(RoundStat(level, n, n, 1.0, 0.0))
             if not n:
                 break
-        seen = seen.checkpoint(eager=True)
+        seen = checkpointed(seen)
         edges.unpersist()
     return Result(seen, len(stats), stats)
 
@@ -119,12 +119,12 @@ def _frontier(g: Graph, source: int, max_rounds: int | None, switch: bool, alpha
                 found = (edges if size <= SMALL else dealt).join(lead, "src", "left_semi").select(F.col("dst").alias("id")).distinct()
                 found = found.join(visited.select("id"), "id", "left_anti")
             seen = Observation()
-            front = found.withColumn("dist", F.lit(level)).observe(seen, F.count("*").alias("n")).checkpoint(eager=True)
+            front = checkpointed(found.withColumn("dist", F.lit(level)).observe(seen, F.count("*").alias("n")))
             size = seen.get["n"]
             stats.append(RoundStat(level, size, size, 1.0, time.perf_counter() - began))
             visited = visited.union(front)
             if level % every == 0:
-                visited = visited.repartition(n, "id").checkpoint(eager=True)
+                visited = checkpointed(visited.repartition(n, "id"))
             if not size:
                 break
         for df in (edges, dealt, back):

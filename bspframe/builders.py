@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession, Window, functions as F
 
+from bspframe.functions.ids import id_table
 from bspframe.graph import Graph
 from bspframe.sources.tables import read_table
 
@@ -82,8 +83,8 @@ def _page_tokens(spark: SparkSession, sf: str) -> DataFrame:
 def page_links(spark: SparkSession, sf: str) -> Graph:
     """Page (2k) to href token (2r+1, r = rank of the token)."""
     t = _page_tokens(spark, sf)
-    ids = t.select("token").distinct().withColumn("r", F.row_number().over(Window.orderBy("token")) - 1)  # a few hundred distinct tokens
-    e = t.join(F.broadcast(ids), "token").select((F.col("page_id") * 2).alias("src"), (F.col("r") * 2 + 1).cast("long").alias("dst"))
+    ids = id_table(t, ["token"]).select(F.col("key").alias("token"), F.col("id").alias("r"))  # numbered by ranges, joined by shuffle
+    e = t.join(ids, "token").select((F.col("page_id") * 2).alias("src"), (F.col("r") * 2 + 1).cast("long").alias("dst"))
     return _g(e, "page_links")
 
 

@@ -12,16 +12,29 @@ from pyspark.sql import DataFrame, functions as F
 from bspframe.engines.program import Program, first_state, message_edges
 from bspframe.graph import Graph, Result
 from bspframe.loop import Adaptive, Truncate, fixpoint, superstep_loop
+from bspframe.partitioners.blocks import blocks_connected, blocks_voronoi, partition_mincut
 from bspframe.session import materialise
 
+#: Ids in a range of the default blocks.
+RANGE = 256
 
-def run_block(g: Graph, p: Program, blocks: DataFrame | None = None, handoff: str = "memory", truncate: Truncate | None = None) -> Result:
-    """``blocks(id, block)``, by default ranges of the id. ``handoff='storage'`` writes and rereads the blocked edges first."""
+
+def run_block(g: Graph, p: Program, blocks: DataFrame | str | None = None, handoff: str = "memory", mode: str = "sync", truncate: Truncate | None = None) -> Result:
+    """``blocks(id, block)``, by default the connected pieces of id ranges; 'voronoi' and 'mincut' make them so.
+
+    ``handoff='storage'`` writes and rereads the blocked edges first. ``mode='async'`` lets two classes of blocks run in
+    turn, so that the second reads what the first has just found.
+    """
     if p.combine != "min":
         raise ValueError("the block engine takes programs that combine by min; see pagerank_block")
     n = int(g.spark.conf.get("spark.sql.shuffle.partitions"))
     if blocks is None:
-        blocks = g.vertices.select("id", F.floor(F.col("id") / 256).alias("block"))
+        blocks = blocks_connected(g, g.vertices.select("id", F.floor(F.col("id") / RANGE).alias("block")))
+    elif blocks == "voronoi":
+        blocks = blocks_voronoi(g, rate=1 / RANGE)
+    elif blocks == "mincut":
+        blocks = partition_mincut(g, n)
+    turns = {"sync": 1, "async": 2}[mode]
     step_cost = 0.0 if p.name == "wcc" else 1.0
     limit = float(p.max_rounds) if p.name == "khop" else np.inf
     weighted = p.weight == "given"
@@ -63,15 +76,16 @@ def run_block(g: Graph, p: Program, blocks: DataFrame | None = None, handoff: st
         e = e.repartition(n, "block").persist()
         state = first_state(g, p).join(of, "id").select("id", F.col("value").cast("double").alias("value"), "changed", "block", F.lit(None).cast("double").alias("old")).repartition(n, "block").persist()
 
-        def step(s: DataFrame, _: int) -> DataFrame:
-            live = s.where("changed").select("block").distinct()
+        def step(s: DataFrame, number: int) -> DataFrame:
+            turn = F.pmod(F.xxhash64("block"), F.lit(turns)) == number % turns
+            live = s.where("changed").where(turn).select("block").distinct()
             ran = e.join(live, "block", "left_semi").groupBy("block").cogroup(s.join(live, "block", "left_semi").groupBy("block")).applyInPandas(local, "id long, value double, message boolean")
             merged = ran.groupBy("id").agg(F.min(F.when(~F.col("message"), F.col("value"))).alias("own"), F.min(F.when(F.col("message"), F.col("value"))).alias("sent"))
-            new = s.select("id", "block", F.col("value").alias("old")).join(merged, "id", "left")
+            new = s.select("id", "block", F.col("value").alias("old"), (F.col("changed") & ~turn).alias("waits")).join(merged, "id", "left")
             bad = lambda c: F.when(F.col(c) != float("inf"), F.col(c))
             base = F.coalesce(bad("own"), F.col("old"))
             new = new.withColumn("base", base).withColumn("value", F.least("base", "sent"))
-            return new.select("id", "value", F.expr("sent is not null and (base is null or sent < base)").alias("changed"), "block", "old")
+            return new.select("id", "value", F.expr("waits or (sent is not null and (base is null or sent < base))").alias("changed"), "block", "old")
 
         state, done, stats = superstep_loop(state, step, fixpoint(), 10_000, truncate)
         e.unpersist()

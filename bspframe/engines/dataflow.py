@@ -11,7 +11,7 @@ from bspframe.engines.program import Program, first_state, message_edges
 from bspframe.engines.vertex import CHANGE
 from bspframe.graph import Graph, Result
 from bspframe.loop import Adaptive, RoundStat, Truncate, pin
-from bspframe.session import shared_dir
+from bspframe.session import checkpointed, shared_dir
 
 #: Rounds that one job of a bulk iteration pipelines when their number is fixed beforehand.
 CHAIN = 5
@@ -65,7 +65,7 @@ def _bulk(g: Graph, p: Program, chain: int) -> Result:
                 fresh = once(fresh)
             number += steps
             seen = Observation()
-            fresh = fresh.observe(seen, F.count_if("changed").alias("changed"), F.coalesce(F.max(F.expr(CHANGE)), F.lit(0.0)).alias("change")).checkpoint(eager=True)
+            fresh = checkpointed(fresh.observe(seen, F.count_if("changed").alias("changed"), F.coalesce(F.max(F.expr(CHANGE)), F.lit(0.0)).alias("change")))
             state = fresh
             got = seen.get
             stats.append(RoundStat(number, got["changed"], got["changed"], float(got["change"]), time.perf_counter() - began))
@@ -108,12 +108,12 @@ def _delta(g: Graph, p: Program, truncate: Truncate | None) -> Result:
             better = offers.join(solution, "id", "left").where("value is null or m < value").select("id", F.col("m").alias("value")).persist()
             changed = better.count()
             merged = solution.join(better.select("id"), "id", "left_anti").union(better).repartition(n, "id")
-            fresh = merged.checkpoint(eager=True) if number % every == 0 else merged.persist()
+            fresh = checkpointed(merged) if number % every == 0 else merged.persist()
             solution, work = fresh, better
             stats.append(RoundStat(number, changed, changed, 0.0, time.perf_counter() - began))
             if not changed or p.halt(stats[-1]):
                 break
         edges.unpersist()
-        full = kept.graph.vertices.join(solution, "id", "left").select("id", "value").checkpoint(eager=True)
+        full = checkpointed(kept.graph.vertices.join(solution, "id", "left").select("id", "value"))
         kept.release()
     return Result(full, number, stats)

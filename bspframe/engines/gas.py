@@ -77,7 +77,7 @@ def run_gas(g: Graph, p: Program, mode: str = "sync", cut: str = "random", machi
             return new.withColumn("value", value).select("id", "value", F.expr(moved).alias("changed"), "old")
 
         halt = (lambda st: st.changed == 0) if stop == "T" else p.halt
-        state, done, stats = superstep_loop(state, step, halt, rounds, truncate, change=CHANGE)
+        state, done, stats = superstep_loop(state, step, halt, rounds, truncate or (Truncate() if quiet else None), change=CHANGE)  # a quiet round reads the state often
         for dealt in (edges, into):
             if dealt is not None:
                 dealt.unpersist()

@@ -9,7 +9,7 @@ from dataclasses import dataclass, field
 from pyspark import StorageLevel
 from pyspark.sql import DataFrame, Observation, SparkSession, functions as F
 
-from bspframe.session import shared_dir
+from bspframe.session import checkpointed, shared_dir
 
 
 @dataclass
@@ -27,20 +27,58 @@ class Truncate:
 
     every: int = 1
     level: StorageLevel = field(default_factory=lambda: StorageLevel.MEMORY_AND_DISK)
+    adaptive: bool = False
 
     @staticmethod
-    def auto(checkpoint_s: float = 0.05, growth_s: float = 0.15) -> "Truncate":
-        """The interval that balances the cost of a checkpoint against the growth of planning time in a round.
-
-        The defaults are measured on small states, where every round pays; a large state wants its own figures.
-        """
-        return Truncate(max(1, min(25, round((2 * checkpoint_s / growth_s) ** 0.5))))
+    def auto() -> "Truncate":
+        """Begins with every round and settles the interval by what this run's own rounds cost (see :class:`Interval`)."""
+        return Truncate(adaptive=True)
 
     @staticmethod
     def never() -> "Truncate":
         return Truncate(1 << 30)
 
 
+class Interval:
+    """Rounds between checkpoints. An adaptive one measures first: two checkpointed rounds, then up to three persisted ones.
+
+    A checkpoint costs ``c`` seconds more than persisting, and each persisted round makes the next ``g`` seconds dearer, as
+    its plan grows; the mean cost of a round, ``c / every + g * every / 2``, is least at ``sqrt(2 c / g)``. A persisted
+    round that saves nothing ends the measuring at once: every round is checkpointed then.
+    """
+
+    PROBE, MOST = 3, 25
+
+    def __init__(self, truncate: Truncate):
+        self.every, self.probing = truncate.every, truncate.adaptive
+        self.full: list[float] = []
+        self.light: list[float] = []
+        self.since = 0
+
+    def due(self) -> bool:
+        """Whether the coming round is checkpointed."""
+        self.since += 1
+        if self.probing:
+            return len(self.full) < 2
+        return self.since >= self.every
+
+    def took(self, checkpointed: bool, seconds: float) -> None:
+        if checkpointed:
+            self.since = 0
+        if not self.probing:
+            return
+        (self.full if checkpointed else self.light).append(seconds)
+        if not self.light:
+            return
+        cost = self.full[-1] - self.light[0]
+        if cost <= 0:
+            self.every, self.probing = 1, False
+        elif len(self.light) > 1:
+            growth = max((self.light[-1] - self.light[0]) / (len(self.light) - 1), 0.01)
+            self.every = max(1, min(self.MOST, round((2 * cost / growth) ** 0.5)))
+            self.probing = len(self.light) < self.PROBE and self.every > self.since
+
+
 Halt = Callable[[RoundStat], bool]
 
 
@@ -106,6 +144,7 @@ def superstep_loop(
     held: list[DataFrame] = []
     stale: list[DataFrame] = []
     number = done
+    interval = Interval(truncate)
     while number < max_rounds:
         number += 1
         began = time.perf_counter()
@@ -113,8 +152,9 @@ def superstep_loop(
         fresh = step(state, number).observe(
             seen, F.expr(f"count_if({changed})").alias("changed"), F.expr(f"count_if({active})").alias("active"), F.expr(f"coalesce(max({change}), 0.0D)").alias("change")
         )
-        if number % truncate.every == 0:
-            fresh = fresh.checkpoint(eager=True)
+        whole = interval.due()
+        if whole:
+            fresh = checkpointed(fresh)
             stale = held
             held = []
             if save_to:
@@ -128,6 +168,7 @@ def superstep_loop(
         stale = []
         got = seen.get
         stats.append(RoundStat(number, got["changed"], got["active"], float(got["change"]), time.perf_counter() - began))
+        interval.took(whole, stats[-1].seconds)
         state = fresh
         if halt(stats[-1]):
             break

@@ -8,6 +8,9 @@ from bspframe.algos.contract import contract_components
 from bspframe.graph import Graph
 from bspframe.session import drop_table, materialise
 
+#: Gains told apart when movers are admitted, and hash cells of movers of one gain.
+GAINS, CELLS = 64, 64
+
 
 def blocks_voronoi(g: Graph, rate: float = 0.001, growth: float = 2.0, max_size: int | None = None, max_rounds: int = 20, seed: int = 7) -> DataFrame:
     """Sampled seeds claim what they reach first; too large blocks are dissolved and the rest is sampled at a higher rate.
@@ -53,6 +56,14 @@ def blocks_voronoi(g: Graph, rate: float = 0.001, growth: float = 2.0, max_size:
     return covered.union(comp.select("id", F.col("component").alias("block"))).union(alone)
 
 
+def blocks_connected(g: Graph, blocks: DataFrame) -> DataFrame:
+    """The connected pieces of ``blocks(id, block)``: vertices of one block that reach each other inside it."""
+    b = blocks.select("id", "block")
+    inner = g.edges.select("src", "dst").join(b.toDF("src", "sb"), "src").join(b.toDF("dst", "db"), "dst").where("sb = db and src <> dst")
+    pieces = contract_components(inner.select("src", "dst"))
+    return b.select("id").join(pieces.select("id", F.col("component").alias("block")), "id", "left").select("id", F.coalesce("block", "id").alias("block"))
+
+
 def blocks_2d(coords: DataFrame, nx: int, ny: int) -> DataFrame:
     """Cells of an nx by ny grid over ``coords(id, x, y)``: equal widths between the least and the greatest coordinates."""
     lim = coords.agg(F.min("x").alias("x0"), F.max("x").alias("x1"), F.min("y").alias("y0"), F.max("y").alias("y1"))
@@ -72,8 +83,8 @@ def blocks_url(urls: DataFrame, depth: int = 1) -> DataFrame:
 def partition_mincut(g: Graph, k: int, balance: float = 1.1, passes: int = 5, seed: int = 7) -> DataFrame:
     """k parts by label propagation under a size cap: each pass a vertex may move to the part most of its neighbours are in.
 
-    Movers to a part are admitted by gain up to the room under ``balance * n / k``; odd and even ids move in turn, so two
-    neighbours do not swap for ever.
+    Movers to a part are admitted by gain, cell after cell of a hash, up to the room under ``balance * n / k``; odd and even
+    ids move in turn, so two neighbours do not swap for ever.
     """
     n = g.vertices.count()
     cap = int(balance * n / k) + 1
@@ -84,11 +95,16 @@ def partition_mincut(g: Graph, k: int, balance: float = 1.1, passes: int = 5, se
         best = votes.groupBy("id").agg(F.max_by("b", F.struct("v", -F.col("b"))).alias("b"), F.max("v").alias("v"))
         here = votes.join(lab, "id").where("b = block").select("id", F.col("v").alias("stay"))
         wish = lab.join(best, "id").join(here, "id", "left").where("b <> block and v > coalesce(stay, 0)").where(F.pmod("id", F.lit(2)) == number % 2)
+        wish = materialise(wish.select("id", "b", F.least(F.col("v") - F.coalesce("stay", F.lit(0)), F.lit(GAINS)).alias("gain"), F.pmod(F.xxhash64("id"), F.lit(CELLS)).alias("cell")), "mincut-wish")
         sizes = lab.groupBy(F.col("block").alias("b")).agg(F.count("*").alias("size"))  # k rows
-        rank = Window.partitionBy("b").orderBy(F.desc(F.col("v") - F.coalesce("stay", F.lit(0))), "id")
-        admitted = wish.withColumn("r", F.row_number().over(rank)).join(F.broadcast(sizes), "b").where(F.col("r") <= F.lit(cap) - F.col("size")).select("id", F.col("b").alias("to"))
+        # room is given to cells of equal gain, highest gain first: k * GAINS * CELLS counts at most, and no movers are sorted
+        counts = wish.groupBy("b", "gain", "cell").agg(F.count("*").alias("n"))
+        before = F.sum("n").over(Window.partitionBy("b").orderBy(F.desc("gain"), "cell"))
+        open_ = counts.withColumn("upto", before).join(F.broadcast(sizes), "b").where(F.col("upto") <= F.lit(cap) - F.col("size")).select("b", "gain", "cell")
+        admitted = wish.join(F.broadcast(open_), ["b", "gain", "cell"], "left_semi").select("id", F.col("b").alias("to"))
         fresh = materialise(lab.join(admitted, "id", "left").select("id", F.coalesce("to", "block").alias("block")), "mincut")
         drop_table(lab)
+        drop_table(wish)
         lab = fresh
     drop_table(und)
     return lab

@@ -11,6 +11,9 @@ from pyspark.sql import Column, DataFrame, functions as F
 from bspframe.functions.hashing import portable_edge_hash, portable_hash
 from bspframe.graph import Graph
 
+#: Edges of a greedy stream, about, and vertices that it remembers.
+STREAM, KNOWN = 4_000_000, 2_000_000
+
 
 def edge_cut_random(g: Graph, p: int, portable: bool = False) -> DataFrame:
     """A vertex is hashed to a part and its out-edges follow."""
@@ -118,21 +121,32 @@ class Greedy:
         self.where[v] = sv | 1 << best
         return best
 
+    def forget(self) -> None:
+        self.where.clear()
+
 
-def _greedy(batches: Iterator[pd.DataFrame], p: int) -> Iterator[pd.DataFrame]:
+def _greedy(batches: Iterator[pd.DataFrame], p: int, known: int) -> Iterator[pd.DataFrame]:
     state = Greedy(p)
     for pdf in batches:
+        if len(state.where) > known:
+            state.forget()
         yield pdf.assign(part=np.array([state.place(u, v) for u, v in zip(pdf["src"].tolist(), pdf["dst"].tolist())], np.int32))
 
 
-def vertex_cut_greedy(g: Graph, p: int, streams: int = 8) -> DataFrame:
-    """Greedy placement in ``streams`` parallel streams, each oblivious of the others; ``streams=1`` is the reference order."""
+def vertex_cut_greedy(g: Graph, p: int, streams: int | None = None, known: int = KNOWN) -> DataFrame:
+    """Greedy placement in parallel streams, each oblivious of the others; ``streams=1`` is the reference order.
+
+    By default there is a stream for each STREAM edges (8 at least). A stream remembers the parts of about ``known``
+    vertices and then begins anew with its loads, so its memory is bounded; every edge is placed all the same.
+    """
     from bspframe.session import ship
 
     ship(g.spark)
+    if streams is None:
+        streams = max(8, -(-g.edges.count() // STREAM))
     dealt = g.edges.repartition(streams, "src").sortWithinPartitions("src", "dst")
     schema = ", ".join(f"{n} {t}" for n, t in g.edges.dtypes) + ", part int"
-    return dealt.mapInPandas(lambda it: _greedy(it, p), schema)
+    return dealt.mapInPandas(lambda it: _greedy(it, p, known), schema)
 
 
 def auto_choice(p: int) -> str:

@@ -77,6 +77,25 @@ def materialise_counting(df: DataFrame, name: str, **counts: str) -> tuple[DataF
     return df.sparkSession.read.schema(df.schema).parquet(path), seen.get
 
 
+def checkpointed(df: DataFrame) -> DataFrame:
+    """``df.checkpoint()`` without the size estimate that it inherits.
+
+    A checkpoint keeps the estimated size of its plan, which multiplies at every join: after k rounds of a loop the figure
+    has some 2**k digits, and planning takes longer than the round. The same files, partitioning and order are
+    wrapped anew with an unknown size.
+    """
+    shared_dir(df.sparkSession)
+    done = df.checkpoint(eager=True)
+    plan = done._jdf.queryExecution().analyzed()
+    if plan.getClass().getSimpleName() != "LogicalRDD":
+        return done
+    jvm = df.sparkSession.sparkContext._jvm
+    none = jvm.scala.Option.empty()
+    session = done._jdf.sparkSession()
+    bare = jvm.org.apache.spark.sql.execution.LogicalRDD(plan.output(), plan.rdd(), plan.outputPartitioning(), plan.outputOrdering(), False, plan.stream(), session, none, none)
+    return DataFrame(jvm.org.apache.spark.sql.classic.Dataset.ofRows(session, bare), df.sparkSession)
+
+
 def drop_table(df_or_path, spark: SparkSession | None = None) -> None:
     """Delete what :func:`materialise` wrote, as soon as nothing reads it any more."""
     if isinstance(df_or_path, DataFrame):
