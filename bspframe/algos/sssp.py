@@ -3,17 +3,20 @@
 from __future__ import annotations
 
 import time
+from dataclasses import replace
 
-from pyspark.sql import DataFrame, Observation, functions as F
+from pyspark.sql import DataFrame, Observation, Window, functions as F
 
 from bspframe.engines import run
 from bspframe.engines.program import hops_program
 from bspframe.graph import Graph, Result
 from bspframe.loop import Adaptive, RoundStat, Truncate, pin
-from bspframe.session import checkpointed, shared_dir
+from bspframe.session import checkpointed, drop_table, materialise, materialise_counting, shared_dir
 
 #: A frontier up to so many vertices (8 MB) is broadcast, and the edges are read as they lie.
 SMALL = 1_000_000
+#: Levels after which method='auto' takes the graph for one of long diameter.
+PATIENCE = 24
 
 
 def pick_source(g: Graph, seed: int = 1) -> int:
@@ -21,6 +24,11 @@ def pick_source(g: Graph, seed: int = 1) -> int:
     return g.vertices.agg(F.min_by("id", F.xxhash64("id", F.lit(seed)))).first()[0]
 
 
+def _with_source(g: Graph, source: int) -> Graph:
+    one = g.spark.createDataFrame([(int(source),)], "id long")
+    return replace(g, extra=one if g.extra is None else g.extra.select("id").union(one))
+
+
 def _finish(r: Result, include_unreached: bool, g: Graph) -> Result:
     df = r.df.select("id", F.col("value").alias("dist"))
     return Result(df if include_unreached else df.where("dist is not null"), r.rounds, r.stats)
@@ -31,14 +39,21 @@ def sssp(g: Graph, source: int, engine: str = "frontier", method: str = "top_dow
 
     ``engine='frontier'`` keeps visited and frontier apart and touches only the frontier's edges each round; the other
     engines interpret the same program. ``method='dir_opt'`` switches to scanning the unvisited when the frontier is
-    wide. ``weight`` relaxes the edge weights. ``with_parent`` adds the least predecessor on a shortest path.
+    wide; ``'contract'`` follows unique predecessors by pointer jumping and searches what is left, so that chains and trees
+    cost the logarithm of their length; ``'auto'`` goes top down for PATIENCE levels and contracts the rest. The source is
+    always in the answer, also when the graph does not have it. ``weight`` relaxes the edge weights. ``with_parent`` adds the least predecessor on a shortest path.
     A hit ``max_rounds`` leaves the last round's ``changed`` above zero: the answer is then not complete.
     """
     if engine == "frontier" and not weight:
-        r = _frontier(g, source, max_rounds, method == "dir_opt", alpha, beta, **how)
+        if method in ("contract", "auto") and max_rounds is None:
+            first = _frontier(g, source, 0 if method == "contract" else PATIENCE, False, alpha, beta, **how)
+            r = first if method == "auto" and not first.stats[-1].changed else _contracted(g, first)
+        else:
+            r = _frontier(g, source, max_rounds, method == "dir_opt", alpha, beta, **how)
         if include_unreached:
             r = Result(g.vertices.join(r.df, "id", "left"), r.rounds, r.stats)
     else:
+        g = _with_source(g, source)
         p = hops_program(source, weighted=weight)
         r = _finish(run("vertex" if engine == "frontier" else engine, g, p, **how), include_unreached, g)
     if with_parent:
@@ -58,7 +73,7 @@ def khop(g: Graph, source: int, k: int = 3, engine: str = "frontier", levels: bo
 
         r = Result(run_recursive_sql(g.spark, g, source, k), k, [])
     else:
-        r = _finish(run(engine, g, hops_program(source, k), **how), False, g)
+        r = _finish(run(engine, _with_source(g, source), hops_program(source, k), **how), False, g)
     return Result(khop_counts(r.df), r.rounds, r.stats) if levels else r
 
 
@@ -131,3 +146,65 @@ def _frontier(g: Graph, source: int, max_rounds: int | None, switch: bool, alpha
             if df is not None:
                 df.unpersist()
     return Result(visited.select("id", "dist"), level, stats)
+
+
+def _contracted(g: Graph, first: Result) -> Result:
+    """Goes on from the levels in ``first`` in a number of rounds that does not grow with the length of chains.
+
+    Of the unvisited vertices, one with a single in-edge lies one hop behind its predecessor. Jumping along these
+    predecessors gives each such vertex its anchor and the hops from there; anchors are the last level and the vertices with
+    several in-edges. Distances of the anchors follow from the edges between them, weighted by the hops that they stand
+    for. A ring that nothing enters never meets an anchor and is not reached.
+    """
+    spark = g.spark
+    last = len(first.stats)
+    seen = materialise(first.df, "visited")
+    edge_of = seen.where(F.col("dist") == last).select("id", "dist")
+    e = g.edges.select("src", "dst").where("src <> dst").distinct()
+    open_ = e.join(seen.select(F.col("id").alias("dst")), "dst", "left_anti")
+    inner = seen.where(F.col("dist") < last).select(F.col("id").alias("src"))  # all that these reach is visited
+    open_ = materialise(open_.join(inner, "src", "left_anti").select("src", "dst"), "open-edges")
+    single = open_.groupBy(F.col("dst").alias("id")).agg(F.count("*").alias("n"), F.min("src").alias("up"))
+    up = materialise(single.where("n = 1").select("id", "up", F.lit(1).cast("long").alias("hops")), "up")
+    stats, jumps = list(first.stats), 0
+    most = max(1, up.count()).bit_length() + 1
+    while jumps < most:  # a row that still moves after that goes round a ring
+        jumps += 1
+        began = time.perf_counter()
+        far = up.select(F.col("id").alias("up"), F.col("up").alias("_up"), F.col("hops").alias("_hops"))
+        step = up.join(far, "up", "left").select("id", F.coalesce("_up", "up").alias("up"), (F.col("hops") + F.coalesce("_hops", F.lit(0))).alias("hops"), F.col("_up").isNotNull().alias("moved"))
+        fresh, count = materialise_counting(step, "up", moved="moved")
+        drop_table(up)
+        up = fresh.select("id", "up", "hops")
+        stats.append(RoundStat(last + jumps, count["moved"], count["moved"], 1.0, time.perf_counter() - began))
+        if not count["moved"]:
+            break
+    settled = up if not stats or not stats[-1].changed else up.join(up.select(F.col("id").alias("up")), "up", "left_anti").select("id", "up", "hops")
+    many = single.where("n > 1").select("id")
+    # edges into anchors, from the anchor of their source
+    into = open_.join(many.select(F.col("id").alias("dst")), "dst", "left_semi").join(settled.select(F.col("id").alias("src"), "up", "hops"), "src", "left")
+    into = into.select(F.coalesce("up", "src").alias("src"), "dst", (F.coalesce("hops", F.lit(0)) + 1).cast("double").alias("w")).groupBy("src", "dst").agg(F.min("w").alias("w"))
+    anchors = many.select("id", F.lit(None).cast("double").alias("value")).union(edge_of.select("id", F.col("dist").cast("double").alias("value")))
+    start = anchors.withColumn("changed", F.col("value").isNotNull())
+    reduced = run("vertex", Graph(materialise(into, "anchor-edges"), extra=anchors.select("id"), name=g.name), hops_program(0, weighted=True), start=start) if not many.isEmpty() else None
+    at = reduced.df.where("value is not null") if reduced else start.select("id", "value")
+    behind = settled.join(at.withColumnRenamed("id", "up"), "up").select("id", (F.col("value") + F.col("hops")).cast("int").alias("dist"))
+    reached = at.select("id", F.col("value").cast("int").alias("dist")).join(edge_of.select("id"), "id", "left_anti")
+    return Result(seen.union(reached).union(behind), last + jumps + (reduced.rounds if reduced else 0), stats + (reduced.stats if reduced else []))
+
+
+def diameter(g: Graph, sources: DataFrame | None = None, samples: int = 32, share: float = 0.9, seed: int = 7) -> DataFrame:
+    """One row: sources, reached pairs, the longest distance found, and the distance within which ``share`` of the pairs lie.
+
+    Breadth-first search from ``sources(id)`` or from ``samples`` vertices by hash; the longest is a lower bound of the
+    diameter. ``effective`` is the least whole distance, ``effective_smooth`` interpolates between it and the one before.
+    """
+    if sources is None:
+        sources = g.vertices.orderBy(F.xxhash64("id", F.lit(seed)), "id").limit(samples)
+    found = khop_many(g, sources, 1 << 30).df.where("dist > 0")
+    by = found.groupBy("dist").agg(F.count("*").alias("n"))  # one row for each distance
+    upto = by.withColumn("upto", F.sum("n").over(Window.orderBy("dist"))).withColumn("all", F.sum("n").over(Window.partitionBy()))
+    goal = F.col("all") * F.lit(share)
+    smooth = F.col("dist") - (F.col("upto") - goal) / F.col("n")
+    got = upto.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("pairs"), F.max("dist").alias("longest"), F.min(F.when(F.col("upto") >= goal, F.col("dist"))).alias("effective"), F.round(F.min(F.when(F.col("upto") >= goal, smooth)), 6).alias("effective_smooth"))
+    return sources.agg(F.countDistinct("id").alias("sources")).crossJoin(got)  # one row each

@@ -116,6 +116,15 @@ class Graph:
         e = self.edges.join(b.select(F.col("id").alias("src"), F.col("block").alias("bsrc")), "src").join(b.select(F.col("id").alias("dst"), F.col("block").alias("bdst")), "dst")
         return e.where("bsrc <> bdst").groupBy("bsrc", "bdst").agg(F.count("*").alias("w"))
 
+    def copies(self, times: int, apart: int = 1 << 40) -> "Graph":
+        """``times`` disjoint copies, each with its ids moved by ``apart``: data that grows without changing its shape."""
+        if times == 1:
+            return self
+        n = F.explode(F.sequence(F.lit(0), F.lit(times - 1)))
+        moved = lambda c: (F.col(c) + F.col("_n") * F.lit(apart)).alias(c)
+        e = self.edges.withColumn("_n", n).select(*[moved(c) if c in ("src", "dst") else F.col(c) for c in self.edges.columns])
+        return replace(self, edges=e, extra=None if self.extra is None else self.extra.withColumn("_n", n).select(moved("id")))
+
     def sample(self, rate: float, seed: int = 7) -> "Graph":
         """Edges whose hash falls under ``rate``; the same on every retry."""
         top = 1 << 30

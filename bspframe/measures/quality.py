@@ -29,14 +29,14 @@ def block_stats(g: Graph, blocks: DataFrame) -> DataFrame:
     return sizes.crossJoin(cut).crossJoin(edge)  # one row each
 
 
-def update_ratio(approx: list, exact: list, spark) -> DataFrame:
-    """(round, ratio): vertices that an approximate run updates over those of the exact run, and the whole as round 0."""
-    a, e = {s.round: s.changed for s in approx}, {s.round: s.active for s in exact}
-    last = max(e, default=0)
-    full = max(e.values(), default=0)
-    rows = [(r, float(a.get(r, 0)) / full if full else 0.0) for r in range(1, max(last, max(a, default=0)) + 1)]
-    done = sum(a.values()) / max(1, full * len(e))
-    return spark.createDataFrame([(0, float(done)), *rows], "round int, ratio double")
+def update_ratio(approx: list, exact: list, vertices: int, spark) -> DataFrame:
+    """(round, ratio): vertices that an approximate run computes over those of the exact run, and the whole as round 0.
+
+    An exact round computes every vertex.
+    """
+    a = {s.round: s.changed for s in approx}
+    rows = [(r, float(a.get(r, 0)) / vertices if vertices else 0.0) for r in range(1, max(len(exact), max(a, default=0)) + 1)]
+    return spark.createDataFrame([(0, sum(a.values()) / max(1, vertices * len(exact))), *rows], "round int, ratio double")
 
 
 def rank_error(approx: DataFrame, exact: DataFrame, k: int = 100) -> DataFrame:

@@ -77,8 +77,14 @@ class Sampler:
         m = dict(x.split(":") for x in _proc("/proc/meminfo").splitlines() if ":" in x)
         return (int(m["MemTotal"].split()[0]) - int(m["MemAvailable"].split()[0])) * 1024 if m else 0
 
+    @staticmethod
+    def _written() -> int:
+        """Bytes that this machine's disks wrote since it started."""
+        rows = [x.split() for x in _proc("/proc/diskstats").splitlines()]
+        return 512 * sum(int(r[9]) for r in rows if len(r) > 9 and not r[2][-1:].isdigit())
+
     def __enter__(self) -> "Sampler":
-        self.net_before, last = self._net(), self._cpu()
+        self.net_before, self.disk_before, last = self._net(), self._written(), self._cpu()
         began = time.perf_counter()
 
         def loop():
@@ -97,6 +103,7 @@ class Sampler:
         self._stop.set()
         self._thread.join()
         self.network = self._net() - self.net_before
+        self.disk_written = self._written() - self.disk_before
 
     def table(self, spark: SparkSession) -> DataFrame:
         return spark.createDataFrame([tuple(float(s[k]) for k in ("t", "user", "system", "idle", "io_wait", "memory")) for s in self.samples], "t double, user double, system double, idle double, io_wait double, memory double")
@@ -167,6 +174,13 @@ def strong_scaling(code: str, cores: list[int], timeout: float = 600) -> list[di
     return out
 
 
-def weak_scaling(code_for, steps: list[tuple[int, str]], timeout: float = 600) -> list[dict]:
-    """As strong scaling with the data grown with the cores: ``steps`` of (cores, data folder); ``code_for(folder)``."""
-    return [{"folder": folder, **strong_scaling(code_for(folder), [k], timeout)[0]} for k, folder in steps]
+def weak_scaling(code_for, steps: list[tuple[int, int]], timeout: float = 600) -> list[dict]:
+    """As strong scaling with the data grown with the cores: ``steps`` of (cores, times the data); ``code_for(times)``.
+
+    ``efficiency`` is the first step's time over a step's: 1 where a core's own share of the data costs the same.
+    """
+    out = [{"times": times, **strong_scaling(code_for(times), [k], timeout)[0]} for k, times in steps]
+    base = out[0].get("seconds") if out else None
+    for row in out:
+        row["efficiency"] = base / row["seconds"] if base and row.get("seconds") else None
+    return out

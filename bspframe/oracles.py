@@ -28,6 +28,43 @@ def pagerank(name: str, rounds: int, both: bool = False, drop_self: bool = False
     return f"WITH {', '.join(parts)} SELECT id, round(rank, 6) + 0.0 AS {column} FROM r{rounds}"
 
 
+def _unrolled(name: str, rounds: int, step, last: str) -> str:
+    """Rounds as a chain of tables r0, r1, ...; ``step(k)`` is the query of r<k> over r<k-1>, edges x(src, dst, w) and v(id)."""
+    parts = [
+        f"e AS MATERIALIZED (SELECT src::BIGINT AS src, dst::BIGINT AS dst FROM ({edges_of(name)}))",
+        f"v AS MATERIALIZED ({_vertices(name)})",
+        "x AS MATERIALIZED (SELECT src, dst, 1.0::DOUBLE / count(*) OVER (PARTITION BY src) AS w FROM e)",
+        "r0 AS (SELECT id, 1.0::DOUBLE AS rank, true AS moved, true AS active FROM v)",
+    ]
+    parts += [f"r{k} AS MATERIALIZED ({step(k)})" for k in range(1, rounds + 1)]
+    return f"WITH {', '.join(parts)} {last}"
+
+
+def _sums(k: int, only: str = "") -> str:
+    return f"(SELECT dst, sum(rank * w) AS s FROM x JOIN r{k - 1} ON src = id {only} GROUP BY dst)"
+
+
+def pagerank_until(name: str, tol: float, most: int, delta: float = 0.15) -> str:
+    """Ranks of the first round in which no rank moves by ``tol``."""
+    step = lambda k: f"SELECT v.id, {delta} + {1 - delta} * coalesce(m.s, 0) AS rank FROM v LEFT JOIN {_sums(k)} m ON v.id = m.dst"
+    ends = " UNION ALL ".join(f"SELECT {k} AS k, max(abs(a.rank - b.rank)) AS d FROM r{k} a JOIN r{k - 1} b USING (id)" for k in range(1, most + 1))
+    every = " UNION ALL ".join(f"SELECT {k} AS k, id, rank FROM r{k}" for k in range(1, most + 1))
+    return _unrolled(name, most, step, f"SELECT id, round(rank, 6) + 0.0 AS rank FROM ({every}) WHERE k = (SELECT min(k) FROM ({ends}) WHERE d < {tol})")
+
+
+def pagerank_quiet(name: str, eps: float, rounds: int, wake: str, delta: float = 0.15) -> str:
+    """Vertices that moved by ``eps`` at most stop. ``wake``: never; moved (work again when an in-neighbour moved); scatter
+    (work only when one did). Rounds beyond the last move change nothing."""
+
+    def step(k: int) -> str:
+        woken = f"id IN (SELECT dst FROM x JOIN r{k - 1} ON src = id WHERE moved)"
+        on = "true" if k == 1 else {"never": "active", "moved": f"(active OR {woken})", "scatter": woken}[wake]
+        new = f"SELECT p.id, p.rank AS old, {on} AS works, CASE WHEN {on} THEN {delta} + {1 - delta} * coalesce(m.s, 0) ELSE p.rank END AS rank FROM r{k - 1} p LEFT JOIN {_sums(k)} m ON p.id = m.dst"
+        return f"SELECT id, rank, abs(rank - old) > {eps} AS moved, works AND abs(rank - old) > {eps} AS active FROM ({new})"
+
+    return _unrolled(name, rounds, step, f"SELECT id, round(rank, 6) + 0.0 AS rank FROM r{rounds}")
+
+
 def wcc(name: str, directed: bool = False, edges: str | None = None) -> str:
     both = "SELECT src AS a, dst AS b FROM e" + ("" if directed else " UNION ALL SELECT dst, src FROM e")
     return f"""WITH RECURSIVE e AS MATERIALIZED (SELECT src::BIGINT AS src, dst::BIGINT AS dst FROM ({edges or SQL[name]})),
@@ -48,6 +85,18 @@ def hops(name: str, source: int, both: bool = False, k: int | None = None, selec
       {select}"""
 
 
+def hops_with_parent(name: str, source: int) -> str:
+    return hops(name, source, select="SELECT d.id, d.dist::INTEGER AS dist, min(p.src) AS parent FROM d LEFT JOIN (SELECT e.src, e.dst, s.dist FROM e JOIN d s ON s.id = e.src) p ON p.dst = d.id AND p.dist + 1 = d.dist GROUP BY d.id, d.dist")
+
+
+def diameter(name: str, sources: str, share: float = 0.9) -> str:
+    inner = khop_many(name, sources, 1_000_000)
+    return f"""WITH f AS MATERIALIZED (SELECT * FROM ({inner}) WHERE dist > 0), b AS (SELECT dist, count(*) AS n FROM f GROUP BY dist),
+      u AS (SELECT dist, n, sum(n) OVER (ORDER BY dist) AS upto, sum(n) OVER () AS whole FROM b)
+      SELECT (SELECT count(DISTINCT id) FROM ({sources})) AS sources, coalesce(sum(n), 0)::BIGINT AS pairs, max(dist)::INTEGER AS longest,
+        min(dist) FILTER (WHERE upto >= whole * {share})::INTEGER AS effective, round(min(dist - (upto - whole * {share}) / n) FILTER (WHERE upto >= whole * {share}), 6)::DOUBLE AS effective_smooth FROM u"""
+
+
 def khop_many(name: str, sources: str, k: int) -> str:
     return f"""WITH RECURSIVE e AS MATERIALIZED (SELECT DISTINCT src::BIGINT AS src, dst::BIGINT AS dst FROM ({SQL[name]})),
       d(source, id, dist) USING KEY (source, id) AS (

@@ -45,9 +45,8 @@ def _graph(name: str, both: bool = False) -> Callable[[SparkSession, str], Graph
 # PageRank
 for key, name, both in (("social", "co_purchase", False), ("web", "page_links", True), ("road", "session_chains", False), ("terms", "doc_terms", True), ("handoff", "handoff", False)):
     query(f"pr_{key}", lambda s, d, g=_graph(name, both): _ranks(pr.pagerank(g(s, d), max_rounds=ROUNDS).df), O.pagerank(name, ROUNDS, both))
-#: The tolerance run stops after so many rounds (pinned by a test).
-TOL, TOL_ROUNDS = 0.01, 11
-query("pr_tol_social", lambda s, d: _ranks(pr.pagerank(B.co_purchase(s, d), tol=TOL).df), None)
+TOL = 0.01
+query("pr_tol_social", lambda s, d: _ranks(pr.pagerank(B.co_purchase(s, d), tol=TOL).df), O.pagerank_until("co_purchase", TOL, 60))
 query("pr_selfedge_keep", lambda s, d: _ranks(pr.pagerank(B.handoff(s, d), max_rounds=ROUNDS).df), O.pagerank("handoff", ROUNDS))
 query("pr_selfedge_drop", lambda s, d: _ranks(pr.pagerank(B.handoff(s, d), max_rounds=ROUNDS, self_edges="drop").df), O.pagerank("handoff", ROUNDS, drop_self=True))
 query("pr_parallel", lambda s, d: _ranks(pr.pagerank(B.trade(s, d, distinct=False), max_rounds=ROUNDS).df), O.pagerank("trade", ROUNDS, edges=B.SQL["trade_multi"]))
@@ -56,19 +55,22 @@ for key, how in {
     "rdd": {"engine": "rdd"}, "dataflow": {"engine": "dataflow"}, "single": {"engine": "single"}, "nocombiner": {"combiner": False},
 }.items():
     query(f"pr_{key}", lambda s, d, how=how: _ranks(pr.pagerank(B.handoff(s, d), max_rounds=ROUNDS, **how).df), O.pagerank("handoff", ROUNDS))
-query("pr_gas_t", lambda s, d: _ranks(pr.pagerank(B.handoff(s, d), engine="gas", stop="T", tol=1e-6, max_rounds=100).df))
+query("pr_gas_t", lambda s, d: _ranks(pr.pagerank(B.handoff(s, d), engine="gas", stop="T", tol=1e-6, max_rounds=100).df), O.pagerank_quiet("handoff", 1e-6, 60, "scatter"))
 query("pr_async", lambda s, d: _ranks(pr.pagerank(B.co_purchase(s, d), engine="gas-async", tol=1e-4).df))
 query("pr_async_local", lambda s, d: _ranks(pr.pagerank(B.handoff(s, d), engine="gas-async-local", tol=1e-6).df))
-query("pr_approx_optout", lambda s, d: _ranks(pr.pagerank_approx(B.co_purchase(s, d), 1e-3).df))
-query("pr_approx_wake", lambda s, d: _ranks(pr.pagerank_approx(B.co_purchase(s, d), 1e-3, reactivate=True).df))
+query("pr_approx_optout", lambda s, d: _ranks(pr.pagerank_approx(B.co_purchase(s, d), 1e-3).df), O.pagerank_quiet("co_purchase", 1e-3, 100, "never"))
+query("pr_approx_wake", lambda s, d: _ranks(pr.pagerank_approx(B.co_purchase(s, d), 1e-3, reactivate=True).df), O.pagerank_quiet("co_purchase", 1e-3, 100, "moved"))
 query("pr_weighted", lambda s, d: _ranks(pr.pagerank(Graph(B.trade(s, d, distinct=False).edges.withColumn("w", F.lit(1.0)), name="trade").simplify(), max_rounds=ROUNDS).df), O.pagerank("trade", ROUNDS, edges=B.SQL["trade_multi"]))
 
 
-def _update_ratio(s: SparkSession, d: str) -> DataFrame:
-    g = B.co_purchase(s, d)
-    exact = pr.pagerank(g, tol=1e-3)
-    approx = pr.pagerank_approx(g, 1e-3, max_rounds=exact.rounds)
-    return quality.update_ratio(approx.stats, exact.stats, s)
+def _update_ratio(name: str, both: bool = False) -> Query:
+    def go(s: SparkSession, d: str) -> DataFrame:
+        g = _graph(name, both)(s, d)
+        exact = pr.pagerank(g, tol=1e-3)
+        approx = pr.pagerank_approx(g, 1e-3, max_rounds=exact.rounds)
+        return quality.update_ratio(approx.stats, exact.stats, g.vertices.count(), s)
+
+    return go
 
 
 def _rank_error(s: SparkSession, d: str) -> DataFrame:
@@ -90,7 +92,9 @@ def _page_graph(s: SparkSession, d: str) -> Graph:
     return Graph(B.page_links(s, d).undirect().edges, extra=pages, name="page_links")
 
 
-query("pr_update_ratio", _update_ratio)
+query("pr_update_ratio", _update_ratio("co_purchase"))
+query("pr_update_ratio_web", _update_ratio("page_links", True))
+query("pr_update_ratio_road", _update_ratio("session_chains"))
 query("pr_rank_error", _rank_error)
 query("pr_block", lambda s, d: _ranks(pr.pagerank_block(_page_graph(s, d), _url_blocks(s, d)).df))
 query("pr_block_rounds", lambda s, d: _ranks(pr.pagerank_block(_page_graph(s, d), _url_blocks(s, d), step_rounds=(10, 10, 20)).df))
@@ -102,7 +106,8 @@ for key, how in {
     "minlabel": {"method": "min_label"}, "firstround": {"method": "min_label", "reverse": "first_round"}, "gatherboth": {"method": "min_label", "reverse": "gather_both"},
     "hashtomin": {"method": "hash_to_min"}, "star": {"method": "star"}, "auto": {"method": "auto"}, "gas": {"engine": "gas"}, "async": {"engine": "gas-async"}, "async_local": {"engine": "gas-async-local"},
     "sql": {"engine": "sql"}, "sql_merge": {"engine": "sql", "update": "merge", "frontier": "filter"}, "mr": {"engine": "mr"}, "mrloop": {"engine": "mr-loop"}, "rdd": {"engine": "rdd", "checkpoint_every": 2},
-    "dataflow": {"engine": "dataflow"}, "block": {"engine": "block"}, "single": {"engine": "single"},
+    "dataflow": {"engine": "dataflow"}, "block": {"engine": "block"}, "block_async": {"engine": "block", "mode": "async"}, "block_voronoi": {"engine": "block", "blocks": "voronoi"}, "block_mincut": {"engine": "block", "blocks": "mincut"},
+    "block_mincut_async": {"engine": "block", "blocks": "mincut", "mode": "async"}, "rdd_edge_cut": {"engine": "rdd", "cut": "edge"}, "single": {"engine": "single"},
 }.items():
     query(f"wcc_{key}", lambda s, d, how=how: wc.wcc(B.trade(s, d), **how).df, O.wcc("trade"))
 query("wcc_forward_only", lambda s, d: wc.wcc(B.trade(s, d), directed=True).df, O.wcc("trade", directed=True))
@@ -120,7 +125,21 @@ for key, how in {
     query(f"khop3_{key}", lambda s, d, how=how: sp.khop(B.handoff(s, d), 0, 3, **how).df, O.hops("handoff", 0, k=3))
 query("sssp_diropt", lambda s, d: sp.sssp(B.co_purchase(s, d), 0, method="dir_opt").df, O.hops("co_purchase", 0))
 query("sssp_weighted", lambda s, d: sp.sssp(Graph(B.handoff(s, d).edges.withColumn("w", F.lit(1.0)), name="handoff"), 0, weight=True).df.select("id", F.col("dist").cast("int").alias("dist")), O.hops("handoff", 0))
-query("sssp_parent", lambda s, d: sp.sssp(B.handoff(s, d), 0, with_parent=True).df, None)
+query("sssp_parent", lambda s, d: sp.sssp(B.handoff(s, d), 0, with_parent=True).df, O.hops_with_parent("handoff", 0))
+query("sssp_block_voronoi", lambda s, d: sp.sssp(B.handoff(s, d), 0, engine="block", blocks="voronoi").df, O.hops("handoff", 0))
+query("sssp_block_mincut", lambda s, d: sp.sssp(B.handoff(s, d), 0, engine="block", blocks="mincut", mode="async").df, O.hops("handoff", 0))
+for key, name, both in (("social", "co_purchase", False), ("web", "page_links", True), ("road", "session_chains", False)):
+    query(f"sssp_contract_{key}", lambda s, d, g=_graph(name, both): sp.sssp(g(s, d), 0, method="contract").df, O.hops(name, 0, both))
+query("khop5_social", lambda s, d: sp.khop(B.co_purchase(s, d), 0, 5).df, O.hops("co_purchase", 0, k=5))
+
+
+def _ladder(s: SparkSession, d: str) -> DataFrame:
+    """Distances from the ladder's head, the first order of the first customer; over a thousand hops."""
+    head = read_table(s, d, "orders").agg(F.min_by("o_orderkey", F.struct("o_custkey", "o_orderdate", "o_orderkey"))).first()[0]
+    return sp.sssp(B.order_ladder(s, d), head, method="auto").df
+
+
+query("sssp_ladder", _ladder, """SELECT o_orderkey AS id, (dense_rank() OVER (ORDER BY o_custkey) + row_number() OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey) - 2)::INTEGER AS dist FROM orders""")
 query("khop_recursive", lambda s, d: sp.khop(B.handoff(s, d), 0, 2, engine="recursive_sql").df, O.hops("handoff", 0, k=2))
 query("khop_many_social", lambda s, d: sp.khop_many(B.co_purchase(s, d), read_table(s, d, "part").where("p_partkey < 50").select(F.col("p_partkey").alias("id")), 2).df, O.khop_many("co_purchase", "SELECT p_partkey AS id FROM part WHERE p_partkey < 50", 2))
 query("khop_many_every50_social", lambda s, d: sp.khop_many(B.co_purchase(s, d), read_table(s, d, "part").where("p_partkey % 50 = 0").select(F.col("p_partkey").alias("id")), 2).df, O.khop_many("co_purchase", "SELECT p_partkey AS id FROM part WHERE p_partkey % 50 = 0", 2))
@@ -229,33 +248,59 @@ from pyspark.sql import SparkSession
 s = SparkSession.builder.master(os.environ['BSPFRAME_MASTER']).config('spark.sql.shuffle.partitions', '4').config('spark.ui.enabled', 'false').config('spark.driver.memory', '2g').getOrCreate()
 from bspframe import builders as B
 from bspframe.algos.pagerank import pagerank
-g = B.trade(s, {sf!r})
-pagerank(g, max_rounds=1).df.count()
+g = B.trade(s, {sf!r}).copies({times})
+mode = {mode!r}
+run = lambda k: pagerank(g, max_rounds=k) if mode == 'sync' else pagerank(g, engine='gas' if mode == 'gas' else 'gas-async', tol=1e-9, max_rounds=k)
+run(1).df.count()
 at = time.perf_counter()
-pagerank(g, max_rounds=3).df.count()
+run(3).df.count()
 print(json.dumps({{'seconds': time.perf_counter() - at}}))
 s.stop()
 """
 
 
-def _scale_code(sf: str) -> str:
+def _scale_code(sf: str, times: int = 1, mode: str = "sync") -> str:
     import os
 
-    return _SCALE.format(repo=os.path.dirname(os.path.dirname(os.path.abspath(__file__))), sf=sf)
+    return _SCALE.format(repo=os.path.dirname(os.path.dirname(os.path.abspath(__file__))), sf=sf, times=times, mode=mode)
 
 
 def _scaling(s: SparkSession, d: str) -> DataFrame:
     from bspframe.measures.runs import strong_scaling
 
-    rows = strong_scaling(_scale_code(d), [1, 2])
+    rows = strong_scaling(_scale_code(d), [1, 2, 4])
     return s.createDataFrame([(r["cores"], r["axis"], r.get("seconds"), r.get("speed_up"), r.get("efficiency")) for r in rows], "cores int, axis string, seconds double, speed_up double, efficiency double")
 
 
 def _weak(s: SparkSession, d: str) -> DataFrame:
+    """As many disjoint copies of the graph as cores, so that a core's load stays the same."""
     from bspframe.measures.runs import weak_scaling
 
-    rows = weak_scaling(_scale_code, [(1, d), (2, d)])
-    return s.createDataFrame([(r["folder"], r["cores"], r.get("seconds")) for r in rows], "folder string, cores int, seconds double")
+    rows = weak_scaling(lambda times: _scale_code(d, times), [(1, 1), (2, 2), (4, 4)])
+    return s.createDataFrame([(r["times"], r["cores"], r.get("seconds"), r.get("efficiency")) for r in rows], "times int, cores int, seconds double, efficiency double")
+
+
+def _reserved(s: SparkSession, d: str) -> DataFrame:
+    """All cores of a machine computing, or two of them held back, with synchronous and asynchronous rounds."""
+    import os
+
+    from bspframe.measures.runs import strong_scaling
+
+    cores = max(3, min(8, os.cpu_count() or 4))
+    rows = []
+    for mode in ("gas", "async"):
+        for label, k in (("all", cores), ("two reserved", cores - 2)):
+            rows.append((mode, label, k, strong_scaling(_scale_code(d, 1, mode), [k])[0].get("seconds")))
+    return s.createDataFrame(rows, "mode string, cores string, computing int, seconds double")
+
+
+def _resources(s: SparkSession, d: str) -> DataFrame:
+    """What the relational engine uses beside others as the graph grows: CPU, I/O wait, memory, traffic, files written."""
+    from bspframe import harness
+
+    rows = [harness.run_one(s, d, "handoff", "pagerank", e, sample=True, copies=c, rounds=5) for c in (1, 4, 16) for e in ("sql", "vertex", "gas", "mr")]
+    names = ["engine", "edges", "total", "user_max", "io_wait_max", "peak_memory", "network", "disk_written"]
+    return s.createDataFrame([tuple(r.get(n) for n in names) for r in rows], "engine string, edges long, total double, user_max double, io_wait_max double, peak_memory double, network double, disk_written double")
 
 
 query("phases", _phases)
@@ -266,6 +311,8 @@ query("format_bytes", _format_bytes)
 query("rounds_table", _rounds_table)
 query("scaling_strong", _scaling)
 query("scaling_weak", _weak)
+query("cores_reserved", _reserved)
+query("engine_resources", _resources)
 query("balance", lambda s, d: planner.partition_balance(B.co_purchase(s, d).edges.repartition(16, "src")))
 
 
@@ -278,8 +325,57 @@ def _ablation(name: str) -> Query:
     return go
 
 
-for name in ("cut", "stop", "mode", "handoff", "loop_cache", "rdd_checkpoint", "wcc_method", "update", "combiner"):
+for name in ("cut", "stop", "mode", "handoff", "loop_cache", "rdd_checkpoint", "wcc_method", "update", "combiner", "exact", "blocks"):
     query(f"ablation_{name}", _ablation(name))
+
+
+def _matrix(graph: str, engines: tuple[str, ...] | None = None) -> Query:
+    def go(s: SparkSession, d: str) -> DataFrame:
+        from bspframe import harness
+
+        return harness.matrix(s, d, (graph,), engines=engines or harness.ENGINES, rounds=3)
+
+    return go
+
+
+query("matrix_social", _matrix("social"))
+query("matrix_web", _matrix("web"))
+query("matrix_road", _matrix("road", ("vertex", "block", "gas", "dataflow", "single")))  # the others pay for each of some 80 rounds
+query("partition_sweep", lambda s, d: _sweep(s, d))
+query("ablation_session", lambda s, d: _session(s, d))
+
+
+def _sweep(s: SparkSession, d: str) -> DataFrame:
+    from bspframe import harness
+
+    return harness.partition_sweep(s, d)
+
+
+def _session(s: SparkSession, d: str) -> DataFrame:
+    """A run in a session of its own, start included, against the same run in the session at hand."""
+    import time
+
+    from bspframe.measures.runs import strong_scaling
+
+    at = time.perf_counter()
+    inner = strong_scaling(_scale_code(d), [4])[0].get("seconds")
+    fresh = time.perf_counter() - at
+    g = B.trade(s, d)
+    pr.pagerank(g, max_rounds=1).df.count()
+    at = time.perf_counter()
+    pr.pagerank(g, max_rounds=3).df.count()
+    return s.createDataFrame([("fresh", fresh, inner), ("reused", time.perf_counter() - at, None)], "session string, seconds double, run_only double")
+
+
+for key, name in (("social", "co_purchase"), ("handoff", "handoff")):
+    sources = {"social": "part", "handoff": "events"}[key]
+    column = {"social": "p_partkey", "handoff": "user_id"}[key]
+    query(
+        f"diameter_{key}",
+        lambda s, d, n=name, t=sources, c=column: sp.diameter(B.GRAPHS[n](s, d), read_table(s, d, t).where(f"{c} % 50 = 0").select(F.col(c).alias("id")).distinct()),
+        O.diameter(name, f"SELECT DISTINCT {column} AS id FROM {sources} WHERE {column} % 50 = 0"),
+    )
+query("diameter_web", lambda s, d: sp.diameter(_graph("page_links", True)(s, d)))
 query("diameter_road", lambda s, d: sp_diameter(s, d))
 
 
@@ -374,15 +470,15 @@ def _stream_pagerank(s: SparkSession, d: str) -> DataFrame:
 
 def _stream_windows(s: SparkSession, d: str) -> DataFrame:
     from bspframe.session import table_path
-    from bspframe.streaming.graphs import windowed_edges
+    from bspframe.streaming.graphs import Versions, windowed_edges
 
     edges, new = _stream(s, d)
     out = table_path(s, "windows")
     counted = windowed_edges(edges.withWatermark("ts", "3650 days"), "30 days")
-    q = counted.writeStream.format("memory").queryName("bspframe_windows").outputMode("complete").option("checkpointLocation", new("checkpoint")).trigger(availableNow=True).start()
-    q.awaitTermination()
-    s.table("bspframe_windows").write.parquet(out)
-    return s.read.parquet(out).groupBy("src", "dst").agg(F.sum("n").alias("n"))
+    table = Versions(s, out, "start TIMESTAMP, end TIMESTAMP, src BIGINT, dst BIGINT, n BIGINT")
+    w = counted.writeStream.foreachBatch(lambda batch, number: table.put(batch, number)).outputMode("complete")
+    w.option("checkpointLocation", new("checkpoint")).trigger(availableNow=True).start().awaitTermination()
+    return table.before().groupBy("src", "dst").agg(F.sum("n").alias("n"))
 
 
 _MULTI = "SELECT user_id AS src, nxt AS dst FROM (SELECT user_id, lead(user_id) OVER (ORDER BY ts, event_id) AS nxt FROM events) WHERE nxt IS NOT NULL"
