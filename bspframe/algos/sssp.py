@@ -87,17 +87,21 @@ def khop_many(g: Graph, sources: DataFrame, k: int = 3) -> Result:
     shared_dir(spark)
     with Adaptive(spark):
         edges = pin(g.edges.select("src", "dst").distinct(), "src")
-        seen = sources.select(F.col("id").cast("long").alias("source"), F.col("id").cast("long").alias("id"), F.lit(0).alias("dist")).distinct().persist()
+        seen = checkpointed(sources.select(F.col("id").cast("long").alias("source"), F.col("id").cast("long").alias("id"), F.lit(0).alias("dist")).distinct())
         front, stats = seen, []
         for level in range(1, k + 1):
+            began = time.perf_counter()
             found = edges.join(front.select("source", F.col("id").alias("src")), "src").select("source", F.col("dst").alias("id")).distinct()
-            front = found.join(seen.select("source", "id"), ["source", "id"], "left_anti").withColumn("dist", F.lit(level)).persist()
-            n = front.count()
+            count = Observation()
+            fresh = found.join(seen.select("source", "id"), ["source", "id"], "left_anti").withColumn("dist", F.lit(level))
+            front = checkpointed(fresh.observe(count, F.count("*").alias("n")))
+            n = count.get["n"]
             seen = seen.union(front)
-            stats.append(RoundStat(level, n, n, 1.0, 0.0))
+            stats.append(RoundStat(level, n, n, 1.0, time.perf_counter() - began))
             if not n:
                 break
-        seen = checkpointed(seen)
+            if level % 8 == 0:
+                seen = checkpointed(seen)
         edges.unpersist()
     return Result(seen, len(stats), stats)
 

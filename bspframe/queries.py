@@ -329,18 +329,20 @@ for name in ("cut", "stop", "mode", "handoff", "loop_cache", "rdd_checkpoint", "
     query(f"ablation_{name}", _ablation(name))
 
 
-def _matrix(graph: str, engines: tuple[str, ...] | None = None) -> Query:
+def _matrix(graph: str, engines: tuple[str, ...]) -> Query:
     def go(s: SparkSession, d: str) -> DataFrame:
         from bspframe import harness
 
-        return harness.matrix(s, d, (graph,), engines=engines or harness.ENGINES, rounds=3)
+        return harness.matrix(s, d, (graph,), engines=engines, rounds=2)
 
     return go
 
 
-query("matrix_social", _matrix("social"))
-query("matrix_web", _matrix("web"))
-query("matrix_road", _matrix("road", ("vertex", "block", "gas", "dataflow", "single")))  # the others pay for each of some 80 rounds
+#: One engine of each family; the others have queries of their own on smaller graphs.
+_FAMILIES = ("vertex", "gas", "block", "mr-loop", "sql", "dataflow", "single")
+query("matrix_social", _matrix("social", _FAMILIES))
+query("matrix_web", _matrix("web", _FAMILIES))
+query("matrix_road", _matrix("road", ("vertex", "block", "single")))  # the others pay for each of some 80 rounds
 query("partition_sweep", lambda s, d: _sweep(s, d))
 query("ablation_session", lambda s, d: _session(s, d))
 
@@ -367,13 +369,11 @@ def _session(s: SparkSession, d: str) -> DataFrame:
     return s.createDataFrame([("fresh", fresh, inner), ("reused", time.perf_counter() - at, None)], "session string, seconds double, run_only double")
 
 
-for key, name in (("social", "co_purchase"), ("handoff", "handoff")):
-    sources = {"social": "part", "handoff": "events"}[key]
-    column = {"social": "p_partkey", "handoff": "user_id"}[key]
+for key, name, table, column, every in (("social", "co_purchase", "part", "p_partkey", 500), ("handoff", "handoff", "events", "user_id", 50)):
     query(
         f"diameter_{key}",
-        lambda s, d, n=name, t=sources, c=column: sp.diameter(B.GRAPHS[n](s, d), read_table(s, d, t).where(f"{c} % 50 = 0").select(F.col(c).alias("id")).distinct()),
-        O.diameter(name, f"SELECT DISTINCT {column} AS id FROM {sources} WHERE {column} % 50 = 0"),
+        lambda s, d, n=name, t=table, c=column, k=every: sp.diameter(B.GRAPHS[n](s, d), read_table(s, d, t).where(f"{c} % {k} = 0").select(F.col(c).alias("id")).distinct()),
+        O.diameter(name, f"SELECT DISTINCT {column} AS id FROM {table} WHERE {column} % {every} = 0"),
     )
 query("diameter_web", lambda s, d: sp.diameter(_graph("page_links", True)(s, d)))
 query("diameter_road", lambda s, d: sp_diameter(s, d))
