@@ -81,9 +81,9 @@ def test_sampled_diameter(spark):
 
 
 def test_block_starts_differ_and_end_alike(spark):
-    e = [(0, 1), (1, 2), (2, 0), (2, 3), (3, 4), (4, 5), (5, 3), (0, 4), (1, 0), (0, 2), (3, 1)]
+    e = [(0, 1), (1, 2), (2, 0), (2, 3), (3, 4), (4, 5), (5, 3), (0, 4), (1, 0), (0, 2), (3, 1), (5, 6), (6, 7), (7, 8), (8, 6), (0, 7)]
     g = Graph.from_edges(spark.createDataFrame(e, "src long, dst long"))
-    blocks = spark.createDataFrame([(i, i // 3) for i in range(6)], "id long, block long")
+    blocks = spark.createDataFrame([(i, i // 3) for i in range(9)], "id long, block long")
     exact = {i: v for i, v in pagerank(g, tol=1e-10).df.collect()}
     starts = {}
     for fn in ("product", "block", "vertex", "degree"):
