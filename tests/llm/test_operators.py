@@ -210,7 +210,7 @@ def test_jaccard_join(spark, docs, settings):
 def test_jaccard_join_salted_lists(spark, monkeypatch):
     monkeypatch.setattr(ngram_join, "LONG_LIST", 5)
     rows = [(i, "a common text of a few words that all hold" + (" x" if i % 2 else "") + f" {i // 2}") for i in range(60)]
-    prefixes = spark.createDataFrame([(i, 1, [7, 8 + i], [i % 3, -1]) for i in range(9)], "id long, least long, tokens array<long>, salts array<long>")
+    prefixes = spark.createDataFrame([(i, 2, 1, [7, 8 + i], [i % 3, -1]) for i in range(9)], "id long, n long, least long, tokens array<long>, salts array<long>")
     edges = {tuple(r) for r in ngram_join.candidate_edges(prefixes).collect()}
     seen, todo = {0}, [0]
     while todo:
@@ -225,6 +225,50 @@ def test_jaccard_join_salted_lists(spark, monkeypatch):
     assert sorted(map(tuple, got.collect())) == _join_brute(rows, 3, 60, 100)
 
 
+def _lettered(i, n):
+    return " ".join(f"u{i}x{j}" for j in range(n))
+
+
+def test_prefixes_have_lengths_of_their_own(spark):
+    """A document whose shingles are alone keeps l = 1; one whose rare shingles are held by many takes more of them."""
+    passage = " ".join(f"p{j}" for j in range(60))
+    rows = [(i, f"{passage} {_lettered(i, 8)}") for i in range(12)] + [(100 + i, _lettered(100 + i, 60) + " p0 p1 p2 p3") for i in range(3)]
+    sets = {i: sorted(_shingles(t, 3)) for i, t in rows}
+    count = defaultdict(int)
+    for s in sets.values():
+        for x in s:
+            count[x] += 1
+    flat = []
+    for i, s in sets.items():
+        order = sorted(s, key=lambda x: (count[x], x))
+        n = len(order)
+        flat += [(i, n, pos, -1, count[x]) for pos, x in enumerate(order[: n - -(-80 * n // 100) + ngram_join._most(n)]) if count[x] > 1]
+    got = dict(map(tuple, ngram_join.prefix_levels(spark.createDataFrame(flat, "id long, n int, pos int, salt long, holders long"), 80, 100).collect()))
+    assert all(2 ** got[i] > 1 for i in range(12)) and all(got.get(100 + i, 0) == 0 for i in range(3))
+    found = ngram_join.jaccard_components(spark.createDataFrame(rows, "doc_id long, text string"), 3, 80, 100)
+    assert sorted(map(tuple, found.collect())) == _join_brute(rows, 3, 80, 100)
+
+
+def test_loosely_connected_blocks_fall_apart(spark):
+    """A chain of groups, each sharing a little with the next, is one star component but no block of tiles."""
+    rng = random.Random(3)
+    rows = []
+    for g in range(12):
+        base = [f"g{g}w{j}" for j in range(40)] + [f"g{g + 1}w{j}" for j in range(5)]
+        for c in range(3):
+            w = base[:]
+            w[rng.randrange(40)] = f"z{g}{c}"
+            rows.append((10 * g + c, " ".join(w)))
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    for bounds in ({}, {"task_docs": 4, "task_shingles": 200}):
+        got = ngram_join.jaccard_components(df, 3, 80, 100, **bounds)
+        assert sorted(map(tuple, got.collect())) == _join_brute(rows, 3, 80, 100)
+    sets = {i: sorted(hash(x) for x in _shingles(t, 3)) for i, t in rows}
+    flat = [(i, x, -1, 4) for i, s in sets.items() for x in s]
+    parts = ngram_join.contract_components(ngram_join.split_block(spark.createDataFrame(flat, "id long, token long, salt long, l int")))
+    assert parts.groupBy("component").count().agg(F.max("count")).first()[0] <= 9
+
+
 def test_jaccard_join_tiles_meet_once(spark):
     """Whole tiles that follow each other are not compared; whole small blocks may share a comparison."""
     text = " ".join(f"w{i}" for i in range(60))
