@@ -6,7 +6,8 @@ to the ledger, and joins the findings back to every row (path) with that content
 of the rules, so a changed rule scans again and an unchanged one never does.
 
 Defined results: a null text is empty; equal contents have equal findings whatever their path; repeated rows come
-back as often as they occur; offsets are code points, ends exclusive.
+back as often as they occur; offsets are code points, ends exclusive; columns ``blob`` and ``findings`` of the input
+are replaced, all others stay; an empty table gives no rows. Every rule reads a text in linear time.
 """
 
 from __future__ import annotations
@@ -21,7 +22,7 @@ from pyspark.sql import DataFrame, functions as F
 from bspframe.llm import text as K
 from bspframe.session import materialise, ship, table_path
 
-#: (kind, pattern, group that must be long enough, least length, plain strings one of which must occur or None)
+#: (kind, pattern or patterns of both ends, group that must be long enough, least length, plain strings one of which must occur or None)
 BASE_RULES = (
     ("assign", r"""(?ai)(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", 2, 6, ("passw", "secret", "token", "api")),
     ("access", r"AKIA[A-Z0-9]+", 0, 20, ("AKIA",)),
@@ -29,14 +30,16 @@ BASE_RULES = (
 )
 #: Public formats of further credentials.
 MORE_RULES = (
-    ("pem", r"-----BEGIN [A-Z ]*PRIVATE KEY-----[\s\S]*?-----END [A-Z ]*PRIVATE KEY-----", 0, 1, ("PRIVATE KEY-----",)),
+    ("pem", (r"-----BEGIN [A-Z ]*PRIVATE KEY-----", r"-----END [A-Z ]*PRIVATE KEY-----"), 0, 1, ("PRIVATE KEY-----",)),
     ("forge", r"\bgh[pousr]_[A-Za-z0-9]{36,}", 0, 40, ("gh",)),
     ("chat", r"\bxox[abprs]-[A-Za-z0-9-]{10,}", 0, 15, ("xox",)),
-    ("web", r"\beyJ[A-Za-z0-9_-]{8,}\.eyJ[A-Za-z0-9_-]{8,}\.[A-Za-z0-9_-]{8,}", 0, 1, ("eyJ",)),
+    ("web", r"(?<![A-Za-z0-9_-])eyJ[A-Za-z0-9_-]{8,}+\.eyJ[A-Za-z0-9_-]{8,}+\.[A-Za-z0-9_-]{8,}", 0, 1, ("eyJ",)),
     ("maps", r"\bAIza[A-Za-z0-9_-]{35}", 0, 39, ("AIza",)),
     ("pay", r"\b[sr]k_live_[A-Za-z0-9]{16,}", 0, 24, ("k_live_",)),
 )
 RULES = BASE_RULES + MORE_RULES
+#: Blobs that a task remembers to have scanned.
+SEEN = 100_000
 BASE = tuple(r[0] for r in BASE_RULES)
 
 
@@ -44,6 +47,21 @@ def rule_version(rules=RULES) -> str:
     return hashlib.sha256(repr(rules).encode()).hexdigest()[:16]
 
 
+def _between(text: str, begin: re.Pattern, end: re.Pattern):
+    """Spans from a begin mark to the first end mark behind it; each mark is looked for once."""
+    ends = [m.span() for m in end.finditer(text)]
+    at = k = 0
+    for m in begin.finditer(text):
+        if m.start() < at:
+            continue
+        while k < len(ends) and ends[k][0] < m.end():
+            k += 1
+        if k == len(ends):
+            return
+        at = ends[k][1]
+        yield m.start(), at
+
+
 def find(text: str, rules=RULES, compiled: dict | None = None) -> list[tuple[str, int, int]]:
     """(kind, start, end) of every match of every rule: leftmost, not overlapping within a kind."""
     out = []
@@ -56,6 +74,9 @@ def find(text: str, rules=RULES, compiled: dict | None = None) -> list[tuple[str
                     continue
             elif not any(h in text for h in hints):
                 continue
+        if isinstance(pattern, tuple):
+            out += [(kind, *span) for span in _between(text, *map(re.compile, pattern))]
+            continue
         search = re.compile(pattern) if compiled is None else compiled.setdefault(kind, re.compile(pattern))
         out += [(kind, *m.span()) for m in search.finditer(text) if m.end(group) - m.start(group) >= least]
     order = {r[0]: i for i, r in enumerate(rules)}
@@ -65,8 +86,12 @@ def find(text: str, rules=RULES, compiled: dict | None = None) -> list[tuple[str
 def _scan(batches, rules):
     kind = pa.list_(pa.struct([("kind", pa.string()), ("start", pa.int32()), ("end", pa.int32())]))
     compiled: dict = {}
+    seen: dict = {}  # repeated rows of one path and content meet in one task
     for batch in batches:
         for part in K.slices(batch, "text"):
+            if len(seen) > SEEN:
+                seen.clear()
+            part = part.filter(pa.array([seen.setdefault(b, n) == n for n, b in enumerate(part.column(0).to_pylist(), len(seen) << 32)], pa.bool_()))
             found = [[dict(zip(("kind", "start", "end"), f)) for f in find(t or "", rules, compiled)] for t in part.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([part.column(0), pa.array(found, kind)], ["blob", "findings"])
 
@@ -92,7 +117,7 @@ def scan(versions: DataFrame, ledger: str | None = None, rules=RULES) -> DataFra
     fresh.write.mode("append").partitionBy("rule_version").parquet(path)
     known = _ledger(spark, path).where(F.col("rule_version") == version).dropDuplicates(["blob"]).select("blob", "findings")
     known = materialise(known, "findings")  # apart from the join, so that a blob with very many paths can be split there
-    return versions.withColumn("blob", F.sha2(F.coalesce(F.col("text").cast("string"), F.lit("")), 256)).join(known, "blob")
+    return versions.drop("findings").withColumn("blob", F.sha2(F.coalesce(F.col("text").cast("string"), F.lit("")), 256)).join(known, "blob")
 
 
 def _ledger(spark, path: str) -> DataFrame | None:
