@@ -15,6 +15,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, functions as F
 
 from bspframe.llm.line_dedup import LOWER, UPPER
+from bspframe.session import materialise
 
 #: (host, path, verdict)
 RULES = (("com", "/en/", "block"), ("example.com", "/en/7", "allow"), ("net", "/de/", "allow"), ("example.net", "/de/8", "block"), ("org", "/es/", "block"))
@@ -71,7 +72,7 @@ def host_reputation(outcomes: DataFrame) -> DataFrame:
     """``outcomes(host, good)`` (good null: not labelled) → host, domain, suffix, n, y, mean, deviation."""
     domain, suffix = levels(F.col("host"))
     hosts = outcomes.groupBy("host").agg(F.count("good").alias("n"), F.coalesce(F.sum("good"), F.lit(0)).cast("long").alias("y"))
-    hosts = hosts.withColumn("domain", domain).withColumn("suffix", suffix)
+    hosts = materialise(hosts.withColumn("domain", domain).withColumn("suffix", suffix), "hosts")  # pages are counted once
     total = hosts.agg(F.sum("n"), F.sum("y")).first()
     base = (total[1] + 1) / (total[0] + 2) if total[0] is not None else 0.5
     up = lambda df, *keys: df.groupBy(*keys).agg(F.sum("n").alias("n"), F.sum("y").alias("y"))
@@ -87,20 +88,26 @@ def host_reputation(outcomes: DataFrame) -> DataFrame:
     return hosts.withColumn("deviation", F.expr(f"sqrt(mean * (1 - mean) / (n + {m!r} + 1))")).drop("prior")
 
 
-def judge(pages: DataFrame, labels: DataFrame, rules=RULES, z: float = Z, threshold: float = THRESHOLD) -> DataFrame:
-    """``pages(page_id, url)`` and ``labels(page_id, good)`` → page_id, host, path, rule, verdict, bound."""
+def _judged(pages: DataFrame, labels: DataFrame, rules, z: float, threshold: float) -> DataFrame:
+    """``pages(row, page_id, url)`` → row, page_id, host, path, rule, verdict, bound."""
     host, path = url_parts(F.col("url"))
-    seen = pages.select("page_id", host.alias("host"), path.alias("path"))
+    seen = pages.select("row", "page_id", host.alias("host"), path.alias("path"))
     marks = labels.where("page_id is not null and good is not null").groupBy("page_id").agg(F.max("good").cast("long").alias("good"))
     reputation = host_reputation(seen.select("page_id", "host").join(marks, "page_id", "left").select("host", "good"))
     bound = reputation.select("host", (F.col("mean") - z * F.col("deviation")).alias("bound"))
     rule, fixed = rule_of(F.col("host"), F.col("path"), rules)
-    return seen.join(bound, "host").select("page_id", "host", "path", rule.alias("rule"), F.coalesce(fixed, F.when(F.col("bound") >= threshold, "allow").otherwise("block")).alias("verdict"), F.round("bound", 6).alias("bound"))
+    return seen.join(bound, "host").select("row", "page_id", "host", "path", rule.alias("rule"), F.coalesce(fixed, F.when(F.col("bound") >= threshold, "allow").otherwise("block")).alias("verdict"), F.round("bound", 6).alias("bound"))
+
+
+def judge(pages: DataFrame, labels: DataFrame, rules=RULES, z: float = Z, threshold: float = THRESHOLD) -> DataFrame:
+    """``pages(page_id, url)`` and ``labels(page_id, good)`` → page_id, host, path, rule, verdict, bound."""
+    return _judged(pages.select(F.lit(None).alias("row"), "page_id", "url"), labels, rules, z, threshold).drop("row")
 
 
-def filter_urls(pages: DataFrame, labels: DataFrame, **how) -> DataFrame:
-    """The pages that are allowed."""
-    return pages.join(judge(pages, labels, **how).where("verdict = 'allow'").select("page_id"), "page_id", "left_semi")
+def filter_urls(pages: DataFrame, labels: DataFrame, rules=RULES, z: float = Z, threshold: float = THRESHOLD) -> DataFrame:
+    """The pages that are allowed, each row judged by its own url, whatever ids repeat or are null."""
+    rows = pages.select(F.struct("*").alias("row"), "page_id", "url")
+    return _judged(rows, labels, rules, z, threshold).where("verdict = 'allow'").select("row.*")
 
 
 def oracle(rules=RULES, z: float = Z, threshold: float = THRESHOLD) -> str:
