@@ -7,13 +7,15 @@ path to the root, so it costs the logarithm of the length. Trees of many distinc
 run side by side in arrays; the matches of a partition are encoded once and kept in a bounded table.
 
 Defined results: a null text is empty; the empty text has no ids and decodes to nothing; special tokens are
-ordinary text; any text decodes to its own UTF-8 bytes.
+ordinary text; any text decodes to its own UTF-8 bytes; repeated rows give as many rows; an empty table gives none;
+columns beyond doc_id and text are not read. A match of any length is encoded whole.
 """
 
 from __future__ import annotations
 
 import base64
 import hashlib
+from array import array
 from functools import partial
 
 import numpy as np
@@ -26,7 +28,9 @@ from bspframe.session import ship
 NONE = np.int64(1) << 40
 #: Matches kept encoded, and array cells of a run of trees, at most.
 KEPT, CELLS = 300_000, 1 << 21
-_loaded: dict[str, "Encoder"] = {}
+#: Matches beyond so many bytes have a tree of their own in flat arrays.
+ALONE = 1 << 9
+_loaded: dict[tuple[str, str], "Encoder"] = {}
 
 
 class Encoder:
@@ -49,13 +53,14 @@ class Encoder:
         order = sorted(pairs)
         self.pair_keys = np.array(order, np.int64)
         self.pair_ranks = np.array([pairs[k] for k in order], np.int64)
+        self.pairs = pairs
         self.known: dict[str, str] = {}
 
     @classmethod
     def load(cls, path: str, pattern: str) -> "Encoder":
-        if path not in _loaded:
-            _loaded[path] = cls(path, pattern)
-        return _loaded[path]
+        if (path, pattern) not in _loaded:
+            _loaded[path, pattern] = cls(path, pattern)
+        return _loaded[path, pattern]
 
     def _ranks(self, left: np.ndarray, right: np.ndarray) -> np.ndarray:
         key = left << 20 | right
@@ -73,6 +78,10 @@ class Encoder:
             elif m:
                 by_size.setdefault(max(1, (len(m) - 1).bit_length()), []).append(i)
         for bits, members in by_size.items():
+            if 1 << bits > ALONE:
+                for i in members:
+                    out[i] = self._merge_one(matches[i], 1 << bits)
+                continue
             step = max(1, CELLS >> bits)
             for a in range(0, len(members), step):
                 part = members[a : a + step]
@@ -80,6 +89,47 @@ class Encoder:
                     out[i] = ids
         return out
 
+    def _merge_one(self, match: bytes, width: int) -> list[int]:
+        """Run the tree of one long match: some 50 bytes for each byte of it, and a merge without array calls."""
+        n = len(match)
+        first = self.single[np.frombuffer(match, np.uint8)]
+        leaf = np.full(width, NONE)
+        leaf[: n - 1] = self._ranks(first[:-1], first[1:])
+        levels = [leaf * width + np.arange(width)]
+        while len(levels[-1]) > 1:
+            levels.append(np.minimum(levels[-1][::2], levels[-1][1::2]))
+        tree = array("q", np.concatenate([np.zeros(1, np.int64), *levels[::-1]]).tobytes())
+        token, nxt, prev = array("q", first.tobytes()), array("q", range(1, n + 1)), array("q", range(-1, n - 1))
+        none, bound, pairs = int(NONE), int(NONE) * width, self.pairs
+
+        def put(at: int, rank: int) -> None:
+            node = at + width
+            tree[node] = rank * width + at
+            node >>= 1
+            while node:
+                a, b = tree[2 * node], tree[2 * node + 1]
+                least = a if a < b else b
+                if tree[node] == least:
+                    return
+                tree[node] = least
+                node >>= 1
+
+        while tree[1] < bound:
+            rank, at = divmod(tree[1], width)
+            gone = nxt[at]
+            token[at], token[gone] = rank, -1
+            after = nxt[at] = nxt[gone]
+            fresh = none
+            if after < n:
+                prev[after] = at
+                fresh = pairs.get(rank << 20 | token[after], none)
+            put(gone, none)
+            put(at, fresh)
+            before = prev[at]
+            if before >= 0:
+                put(before, pairs.get(token[before] << 20 | rank, none))
+        return [t for t in token if t >= 0]
+
     def _merge(self, matches: list[bytes], width: int) -> list[list[int]]:
         """Run the segment trees of matches of at most ``width`` bytes side by side."""
         n = len(matches)
