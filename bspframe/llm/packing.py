@@ -2,7 +2,7 @@
 
 Documents become token sequences with an end token; longer ones than the capacity are cut into whole pieces with
 a shorter first piece. How many pieces of each length exist is a table of ``capacity`` numbers, whatever the
-corpus. On that table sums of one, two and three lengths are looked up to fill the gap beside each length
+corpus. Sums of one, two and three of its lengths are indexed by sum and looked up to fill the gap beside each length
 exactly, and combinations are consumed as often as their lengths are available; what is left goes into the
 fullest bin that takes it (best fit, longest first). The outcome is a short list of recipes with counts.
 Pieces get gapless numbers within their length, and a number names the recipe, the sequence and the offset.
@@ -149,34 +149,58 @@ def plan(counts: dict[int, int], capacity: int = CAPACITY) -> list[tuple[tuple[i
 
     if left[capacity]:
         use((capacity,))
+    index = SumIndex(left, capacity)
     for parts in (1, 2, 3):
         for size in range(capacity - 1, 0, -1):
             if not left[size]:
                 continue
-            for rest in _fills(left, capacity - size, parts, size):
+            for rest in index.fills(capacity - size, parts, size):
                 use((size, *rest))
                 if not left[size]:
                     break
     return out + _best_fit(left, capacity)
 
 
-def _fills(left: np.ndarray, gap: int, parts: int, most: int):
-    """Available combinations of ``parts`` lengths, longest first and none over ``most``, that sum to ``gap``."""
-    if parts == 1:
-        if 0 < gap <= most and left[gap]:
-            yield (gap,)
-    elif parts == 2:
-        a = np.arange(min(most, gap - 1), (gap - 1) // 2, -1)
-        a = a[(left[a] > 0) & (left[gap - a] > 0)]
-        for x in a.tolist():
-            if left[x] and left[gap - x]:
-                yield (x, gap - x)
-    else:
-        for x in range(min(most, gap - 2), (gap - 1) // 3, -1):
-            if left[x]:
-                for pair in _fills(left, gap - x, 2, x):
-                    if left[x]:
-                        yield (x, *pair)
+class SumIndex:
+    """Sums of one, two and three available lengths, by sum: ``pairs[s]`` and ``triples[s]`` list the longest members.
+
+    The index is made once, as lengths only ever run out; ``fills`` checks what is left when it looks a sum up.
+    """
+
+    def __init__(self, left: np.ndarray, capacity: int):
+        self.left = left
+        here = left > 0
+        here[0] = False
+        lengths = np.flatnonzero(here)
+        self.pairs: list[np.ndarray] = []
+        least = np.full(capacity + 1, capacity + 1)  # the least longest member of a pair with that sum
+        for s in range(capacity + 1):
+            a = lengths[(lengths < s) & (2 * lengths >= s)]
+            a = a[here[s - a]][::-1]
+            self.pairs.append(a)
+            if len(a):
+                least[s] = a[-1]
+        self.triples = []
+        for s in range(capacity + 1):
+            x = lengths[lengths < s]
+            self.triples.append(x[least[s - x] <= x][::-1])
+
+    def fills(self, gap: int, parts: int, most: int):
+        """Combinations of ``parts`` lengths that are left, longest first and none over ``most``, that sum to ``gap``."""
+        left = self.left
+        if parts == 1:
+            if 0 < gap <= most and left[gap]:
+                yield (gap,)
+        elif parts == 2:
+            for x in self.pairs[gap].tolist():
+                if x <= most and left[x] and left[gap - x]:
+                    yield (x, gap - x)
+        else:
+            for x in self.triples[gap].tolist():
+                if x <= most and left[x]:
+                    for pair in self.fills(gap - x, 2, x):
+                        if left[x]:
+                            yield (x, *pair)
 
 
 def _best_fit(left: np.ndarray, capacity: int) -> list[tuple[tuple[int, ...], int]]:
