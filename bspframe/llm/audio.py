@@ -3,11 +3,13 @@
 ``to_media`` stores a byte payload losslessly in a valid MPEG-1 Layer III stream: silent mono frames at 48 kHz
 whose ancillary area carries the payload, each with its CRC-16, behind an ID3v2 tag and a variable-bitrate
 (Xing) table; the last frame takes the smallest bitrate that fits. ``parse`` reads any MPEG-1/2/2.5 Layer I-III
-stream: it skips and parses ID3v2 and ID3v1 tags, finds frame headers again after damage, reads the
-variable-bitrate table, verifies frame checksums, and gives the exact duration and every frame's offset.
+stream: it skips and parses ID3v2 (unsynchronised ones too) and ID3v1 tags, finds frame headers again after damage, reads
+variable-bitrate tables of both kinds (Xing/Info and VBRI), verifies frame checksums of every layer over the bits that the
+layer protects, and gives the exact duration and every frame's offset. Frames of free-format bitrate are skipped.
 
 Defined results: a null text is empty; the payload is the UTF-8 text with zero bytes up to a positive
-multiple of 64; equal texts give equal media; null media parses as an empty stream.
+multiple of 64; equal texts give equal media; null media parses as an empty stream; repeated rows give as many rows; an
+empty table gives none; a text of any length is stored whole; columns beyond doc_id and text are not read.
 """
 
 from __future__ import annotations
@@ -34,6 +36,8 @@ BITRATES = {
 }
 #: Hz by version bits
 RATES = {3: [44100, 48000, 32000], 2: [22050, 24000, 16000], 0: [11025, 12000, 8000]}
+#: Layer II: bits of each subband's allocation, by (subbands with 4, with 3, with 2 bits)
+ALLOCATIONS = {"a": (11, 12, 4), "b": (11, 12, 7), "c": (2, 6, 0), "d": (2, 10, 0), "low": (4, 7, 19)}
 SYNC = 0xFFE0
 
 RATE, SIDE, LEAD = 48000, 17, 4 + 2 + 17
@@ -127,7 +131,46 @@ def _known(word: int):
     return _seen_headers[word]
 
 
+def crc16_bits(data: bytes, bits: int, start: bytes) -> int:
+    """The same checksum over ``start`` and then the first ``bits`` bits of ``data``."""
+    c = crc16(start + data[: bits // 8])
+    for i in range(bits // 8 * 8, bits):
+        top = c >> 15 ^ data[i // 8] >> 7 - i % 8 & 1
+        c = (c << 1 & 0xFFFF) ^ (0x8005 if top else 0)
+    return c
+
+
+def protected_bits(word: int, body: bytes) -> int:
+    """How many bits of ``body`` (what follows the checksum) the checksum of a Layer I or II frame covers."""
+    one, layer, mode = word >> 19 & 3 == 3, 4 - (word >> 17 & 3), word >> 6 & 3
+    channels = 1 if mode == 3 else 2
+    joint = 4 * (word >> 4 & 3) + 4 if mode == 1 else 32  # subbands from here on share one allocation
+    if layer == 1:
+        return 4 * (32 if channels == 1 else 32 + joint)
+    if not one:
+        table = "low"
+    else:
+        kbps, hz = BITRATES[True, 2][(word >> 12 & 15) - 1] // channels, RATES[3][word >> 10 & 3]
+        table = ("d" if hz == 32000 else "c") if kbps <= 48 else "a" if kbps <= 80 or hz == 48000 else "b"
+    widths = [w for w, n in zip((4, 3, 2), ALLOCATIONS[table]) for _ in range(n)]
+    bits = int.from_bytes(body[:48], "big")
+    total, at, used = 8 * len(body[:48]), 0, 0
+    for band, width in enumerate(widths):
+        shared = channels == 2 and band >= joint
+        for _ in range(1 if shared else channels):
+            if at + width > total:
+                return at
+            used += (2 if shared else 1) * (bits >> total - at - width & (1 << width) - 1 > 0)
+            at += width
+    return at + 2 * used  # with two bits of scale factor selection for each allocated subband
+
+
 def _checks(data: bytes, at: int, side: int) -> bool:
+    word = int.from_bytes(data[at : at + 4], "big")
+    if word >> 17 & 3 != 1:  # Layers I and II
+        tail = data[at + 6 : at + 6 + 256]
+        bits = protected_bits(word, tail)
+        return bits <= 8 * len(tail) and crc16_bits(tail, bits, data[at + 2 : at + 4]) == int.from_bytes(data[at + 4 : at + 6], "big")
     body = data[at + 2 : at + 6 + side]
     good = _seen_checks.get(body)
     if good is None:
@@ -145,15 +188,18 @@ def _tags(data: bytes) -> tuple[dict[str, str], int, int]:
         size = 0
         for b in data[begin + 6 : begin + 10]:
             size = size << 7 | b & 0x7F
-        at, stop = begin + 10, min(begin + 10 + size, len(data))
-        if flags & 0x40 and stop - at >= 4:  # an extended header
-            ext = int.from_bytes(data[at : at + 4], "big") if major == 3 else sum((b & 0x7F) << s for b, s in zip(data[at : at + 4], (21, 14, 7, 0)))
+        held = data[begin + 10 : begin + 10 + size]
+        if flags & 0x80:  # unsynchronised: a zero byte was put behind each 255
+            held = held.replace(b"\xff\0", b"\xff")
+        at, stop = 0, len(held)
+        if flags & 0x40 and stop >= 4:  # an extended header
+            ext = int.from_bytes(held[:4], "big") if major == 3 else sum((b & 0x7F) << s for b, s in zip(held[:4], (21, 14, 7, 0)))
             at += ext + (4 if major == 3 else 0)
-        while at + 10 <= stop and data[at : at + 4].strip(b"\0"):
-            name = data[at : at + 4].decode("latin-1")
-            raw = data[at + 4 : at + 8]
+        while at + 10 <= stop and held[at : at + 4].strip(b"\0"):
+            name = held[at : at + 4].decode("latin-1")
+            raw = held[at + 4 : at + 8]
             n = int.from_bytes(raw, "big") if major == 3 else sum((b & 0x7F) << s for b, s in zip(raw, (21, 14, 7, 0)))
-            body = data[at + 10 : min(at + 10 + n, stop)]
+            body = held[at + 10 : min(at + 10 + n, stop)]
             if name[:1] == "T" and body:
                 value = body[1:].decode({0: "latin-1", 1: "utf-16", 2: "utf-16-be"}.get(body[0], "utf-8"), "replace")
                 key, _, value = value.partition("\0") if name == "TXXX" else (name, "", value)
@@ -195,6 +241,8 @@ def parse(data: bytes | None) -> dict:
         body = at + 4 + 2 * checked + side
         if table is None and not offsets and data[body : body + 4] in (b"Xing", b"Info"):
             table = _table(data, body, at)
+        elif table is None and not offsets and data[at + 36 : at + 40] == b"VBRI":
+            table = _vbri(data, at + 36, at)
         else:
             offsets.append(at)
             pieces.append(data[body : at + size])
@@ -231,6 +279,14 @@ def _table(data: bytes, at: int, origin: int) -> dict:
     return out
 
 
+def _vbri(data: bytes, at: int, origin: int) -> dict:
+    """The other kind of table: a count of bytes and frames and the bytes of each run of frames."""
+    number = lambda i, n: int.from_bytes(data[at + i : at + i + n], "big")
+    entries, scale, width = number(18, 2), number(20, 2), number(22, 2)
+    runs = [scale * number(26 + i * width, width) for i in range(entries)]
+    return {"origin": origin, "bytes": number(10, 4), "frames": number(14, 4), "frames_per_entry": number(24, 2), "runs": runs}
+
+
 def seek(found: dict, seconds: Fraction) -> int | None:
     """Offset of the frame that plays at ``seconds``, exact for streams of one frame length."""
     if not found["offsets"]:
@@ -267,8 +323,7 @@ def _measure(batches):
 
     for batch in batches:
         at = batch.schema.get_field_index("media")
-        for start in range(0, batch.num_rows, 512):
-            part = batch.slice(start, 512)
+        for part in K.slices(batch, "media"):
             rows = []
             for v in part.column(at):
                 data = v.as_py() or b""
