@@ -5,7 +5,8 @@ more becomes a row (key hash, document, position); texts are not shuffled for th
 partitioned by hash and sorted by (hash, document descending, position), and one streaming pass marks
 which lines are first occurrences, that is in the largest doc_id holding the key. Keys of ``min_docs``
 documents or more lose all other lines. A heavy-hitter sketch of fixed size names up to ``HOT`` frequent
-hashes first; their counts are pre-aggregated and joined by broadcast, so no frequent line meets in a task.
+hashes first; their counts are pre-aggregated and joined by broadcast, so no frequent line meets in a task. A hash that
+the sketch does not name holds a share of about 1 / ``HOT`` of the lines at most, which bounds the groups of the pass.
 The result for a document is its list of dropped runs (start, length): a run-length compressed bitmap.
 
 Only DataFrame and SQL functions are used.

@@ -6,7 +6,8 @@ the squared change of its log-odds is penalised, so that a neutral mention of a
 The model is a bounded table of feature weights that every task gets; scoring is one pass over whole texts.
 
 Defined results: null and empty texts have the score of the bias alone; labels that are null are ignored; without
-any usable label every score is 0; with labels of one class every score is near that class.
+any usable label every score is 0; with labels of one class every score is near that class; repeated rows are scored
+alike, and one labelled doc_id with several texts teaches with each of them; an empty table gives no rows.
 """
 
 from __future__ import annotations

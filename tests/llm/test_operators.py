@@ -586,3 +586,111 @@ def test_near_copies_of_repeated_ids(spark):
     nine = [k for k in kept if k[0] == 9]
     assert len(nine) == 1 and nine[0] in rows and got.columns == C.COLUMNS
     assert sorted((k for k in kept if k[0] != 9), key=str) == sorted([(3, a), (5, b), (7, "short"), (8, None), (None, d)], key=str)
+
+
+# faults found by probes
+def _layer_two_frame(word, allocation_bits, used):
+    """A protected Layer II frame whose allocation reads as given, with a checksum worked out bit by bit."""
+    bits = allocation_bits + "01" * used
+    c = 0xFFFF
+    for bit in f"{word & 0xFFFF:016b}" + bits:
+        top = c >> 15 ^ int(bit)
+        c = (c << 1 & 0xFFFF) ^ (0x8005 if top else 0)
+    body = (bits + "0" * (-len(bits) % 8)) if len(bits) % 8 else bits
+    size = audio.header(word)[0]
+    return (word.to_bytes(4, "big") + c.to_bytes(2, "big") + int(body, 2).to_bytes(len(body) // 8, "big")).ljust(size, b"\0")
+
+
+def test_audio_checks_of_layers_one_and_two():
+    mono = 0xFFFC84C0  # MPEG-1 Layer II, protected, 128 kbit/s, 48 kHz, one channel: 11 * 4 + 12 * 3 + 4 * 2 bits
+    frame = _layer_two_frame(mono, "0001" + "0" * (11 * 4 - 4) + "001" + "0" * (12 * 3 - 3) + "0" * 8, 2)
+    joint = 0xFFFC8450  # two channels, joint from subband 8 on
+    widths = [4] * 11 + [3] * 12 + [2] * 4
+    bits = "".join("0" * w * (2 if b < 8 else 1) for b, w in enumerate(widths))
+    bits = bits[: 2 * 4 * 8] + "0001" + bits[2 * 4 * 8 + 4 :]  # the first shared subband: both channels select
+    both = _layer_two_frame(joint, bits, 2)
+    for good in (frame, both):
+        found = audio.parse(good * 3)
+        assert (found["checks_good"], found["checks_bad"], len(found["offsets"])) == (3, 0, 3)
+        bad = bytearray(good * 3)
+        bad[6] ^= 0x10
+        assert audio.parse(bytes(bad))["checks_bad"] == 1
+    one = 0xFFFE54C0  # Layer I, one channel: 32 * 4 bits
+    head = one.to_bytes(4, "big")
+    body = bytes(range(16))
+    first = (head + audio.crc16(head[2:] + body).to_bytes(2, "big") + body).ljust(audio.header(one)[0], b"\0")
+    assert audio.parse(first * 2)["checks_good"] == 2
+
+
+def test_audio_reads_the_other_table_and_unsynchronised_tags():
+    plain = audio.parse(audio.to_media(b"p" * 64))
+    media = audio.to_media(b"p" * 64)
+    at = plain["table"]["origin"]
+    size = audio.header(int.from_bytes(media[at : at + 4], "big"))[0]
+    table = b"VBRI" + b"\0\1" + b"\0\0" + b"\0\x4b" + (5000).to_bytes(4, "big") + (7).to_bytes(4, "big") + b"\0\2\0\1\0\2\0\4" + b"\1\0\2\0"
+    body = media[:at] + (media[at : at + 4] + media[at + 4 : at + 23] + bytes(13) + table).ljust(size, b"\0") + media[at + size :]
+    found = audio.parse(body)
+    assert found["table"] == {"origin": at, "bytes": 5000, "frames": 7, "frames_per_entry": 4, "runs": [256, 512]} and found["offsets"] == plain["offsets"]
+    text = "TIT2".encode() + (3).to_bytes(4, "big") + b"\0\0" + b"\0\xffA"
+    stored = text.replace(b"\xff", b"\xff\0")
+    tag = b"ID3\3\0\x80" + audio._safe(len(stored)) + stored
+    assert audio.parse(tag + media)["tags"]["TIT2"] == "\xffA"
+
+
+def test_allowed_pages_with_repeated_and_null_ids(spark):
+    rows = [(1, "http://example.com/en/1", "a"), (1, "http://example.com/en/7", "b"), (None, "http://x.net/de/1", "c"), (2, None, "d")]
+    pages = spark.createDataFrame(rows, "page_id long, url string, host string")
+    labels = spark.createDataFrame([(2, 0)], "page_id long, good int")
+    got = url_filter.filter_urls(pages, labels)
+    assert got.columns == pages.columns and sorted(r["host"] for r in got.collect()) == ["b", "c"]
+
+
+def test_bpe_patterns_and_long_matches(reference):
+    path = P.path("byte_bpe_multi_50k.tiktoken")
+    assert bpe.Encoder.load(path, P.PATTERN) is not bpe.Encoder.load(path, r"(?s:.+)")
+    assert bpe.Encoder.load(path, P.PATTERN) is bpe.Encoder.load(path, P.PATTERN)
+    enc, rng = bpe.Encoder.load(path, P.PATTERN), random.Random(2)
+    long = ["a" * 5000, "".join(rng.choice("abcdeéß漢") for _ in range(7000)), " " * 3000, "xyzzy" * 900]
+    assert [e for e in enc.encode_texts(long)] == [",".join(map(str, reference[1].encode_ordinary(t))) for t in long]
+
+
+def test_secret_rules_are_linear_and_columns_may_clash(spark):
+    import time
+
+    at = time.perf_counter()
+    assert secrets.find("-----BEGIN RSA PRIVATE KEY-----\n" * 40_000) == [] and secrets.find("eyJ-" * 200_000) == []
+    assert time.perf_counter() - at < 5
+    text = "x -----BEGIN A PRIVATE KEY----- a -----BEGIN PRIVATE KEY----- b -----END PRIVATE KEY----- -----END PRIVATE KEY-----"
+    assert [text[a:b] for k, a, b in secrets.find(text)] == [text[2 : text.index("-----END") + 25]]
+    df = spark.createDataFrame([(1, "password=abcdefgh", 7, "z"), (1, "password=abcdefgh", 7, "z"), (None, None, 8, "y")], "doc_id long, text string, findings int, blob string")
+    got = secrets.scan(df).collect()
+    assert len(got) == 3 and sorted(len(r["findings"]) for r in got) == [0, 1, 1] and all(len(r["blob"]) == 64 for r in got)
+
+
+def test_sums_are_found_by_index():
+    left = np.zeros(101, np.int64)
+    left[[10, 20, 30, 35, 50, 60]] = [2, 1, 1, 1, 1, 1]
+    index = packing.SumIndex(left, 100)
+    assert index.pairs[70].tolist() == [60, 50, 35] and index.pairs[60].tolist() == [50, 30]
+    assert list(index.fills(60, 2, 60)) == [(50, 10), (30, 30)] and list(index.fills(60, 3, 60)) == [(30, 20, 10), (20, 20, 20)]
+
+
+def test_pipeline_over_hard_rows(spark, tmp_path):
+    """Null ids and texts, repeated rows, ties, a very long text and clashing columns pass all stages; so does an empty table."""
+    import corpus_pipeline as C
+
+    rows = [(i, t, "en", "s", 1) for i, t in enumerate(TEXTS)]
+    rows += [(None, "no id at all here", "en", "s", 1), (None, None, None, None, None), (9, TEXTS[9], "en", "s", 1), (3, "quite another text of document three", "de", "s", 1)]
+    schema = "doc_id long, text string, lang string, source string, n_chars long"
+    for name, data in (("hard", rows), ("none", [])):
+        d = str(tmp_path / name)
+        spark.createDataFrame(data, schema).withColumn("score", F.lit("x")).withColumn("blob", F.lit(1)).withColumn("task", F.lit(2)).write.parquet(f"{d}/documents.parquet")
+        spark.createDataFrame([(1, 0, 0), (None, 1, 1)], "doc_id long, quality int, toxic int").write.parquet(f"{d}/labels.parquet")
+        out = C.run(spark, d)
+        assert {"doc_id", "piece", "sequence_id"} <= set(out.columns)
+        left = out.select("doc_id").distinct().collect()
+        if data:
+            ids = {r[0] for r in left}
+            assert None in ids and 3 in ids and 7 in ids and 8 not in ids and 10 not in ids  # near copies and exact copies go
+        else:
+            assert left == []
