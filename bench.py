@@ -52,6 +52,8 @@ def main() -> None:
         timed(f"khop3_{key}", lambda g=g: khop(g, 0, 3))
     timed("wcc_ladder", lambda: wcc(ladder))
     timed("khop3_ladder", lambda: khop(ladder, head, 3))
+    timed("sssp_ladder", lambda: sssp(ladder, head, method="auto"))
+    timed("sssp_road_contract", lambda: sssp(road, 0, method="contract"))
     for engine in ("vertex", "gas", "sql", "mr", "mr-loop", "rdd", "dataflow", "single"):
         timed(f"pr_handoff_{engine}", lambda e=engine: pagerank(hand, max_rounds=10, engine=e))
     for engine in ("vertex", "block", "gas", "mr-loop", "single"):

@@ -130,10 +130,10 @@ def superstep_loop(
     """Run ``step(state, round)`` until ``halt`` or ``max_rounds``; one job a round, measured by an observation.
 
     ``changed``, ``change`` and ``active`` are SQL over the new state. ``save_to`` keeps the state of every
-    checkpoint round as parquet under ``round=N``; ``resume_from`` starts from the last such state.
+    checkpoint round (every round, if ``truncate`` is not given) as parquet under ``round=N``; ``resume_from`` starts from the last such state.
     """
     spark = state.sparkSession
-    truncate = truncate or Truncate.auto()
+    truncate = truncate or (Truncate() if save_to else Truncate.auto())
     shared_dir(spark)
     stats: list[RoundStat] = []
     done = 0
