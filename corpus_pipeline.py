@@ -1,6 +1,11 @@
 """Corpus pipeline: toxicity, line dedup, near duplicates, secrets, packing.
 
 Each stage reads what its predecessor wrote. All but the last return the columns of ``documents``.
+
+Defined results: null and empty texts are clean, have no lines to lose, link with nothing and pack as their end token; null
+ids are documents of their own; of rows that repeat both doc_id and text one stays, a repeated doc_id with another text
+is a document of its own; among equally near copies the least doc_id stays (a null one only where no other is there);
+texts of any length are read whole; columns beyond those of ``documents`` are left behind; an empty table gives no rows.
 """
 
 from __future__ import annotations
