@@ -98,7 +98,7 @@ def test_block_starts_differ_and_end_alike(spark):
 
 def test_long_runs_do_not_plan_longer(spark, sf):
     """Sizes that checkpoints inherit would make the 25th round take minutes to plan."""
-    r = pagerank_approx(B.session_chains(spark, sf), 0.0, max_rounds=25)
+    r = pagerank_approx(B.session_chains(spark, sf), 0.0, reactivate=True, max_rounds=25)
     assert r.rounds == 25 and max(s.seconds for s in r.stats[15:]) < 10
 
 
