@@ -29,6 +29,8 @@ TRAIN_ROWS, MAX_FEATURES = 12_000, 20_000
 STEMS = (3, 4, 5, 6, 7, 8)
 #: Weight of the penalty on score changes under swaps, and of the ridge.
 SWAP_PENALTY, RIDGE = 1.0, 1e-3
+#: Share of a text's features that a step of the fit does not see.
+BLANKED = 0.3
 # Identity terms by kind; a swap stays within a kind.
 IDENTITIES = (
     ("women", "men", "girls", "boys"),
@@ -106,8 +108,12 @@ class Sample:
         return names, np.stack(columns) if vocabulary else np.zeros((1 + len(STEMS), 0), np.int64)
 
 
-def fit(sample: Sample, penalty: float = SWAP_PENALTY, rounds: int = 1200) -> dict[str, float]:
-    """Weights by feature (the bias under ``""``)."""
+def fit(sample: Sample, penalty: float = SWAP_PENALTY, rounds: int = 1200, blanked: float = BLANKED) -> dict[str, float]:
+    """Weights by feature (the bias under ``""``).
+
+    Each step leaves out another random share of every text's features, so that one telling word has to do where the
+    labelled texts hold several; the draws are seeded. The penalty sees all features.
+    """
     y = np.array(sample.labels, np.float64)
     n1, n0 = y.sum(), len(y) - y.sum()
     if not len(y):
@@ -130,11 +136,14 @@ def fit(sample: Sample, penalty: float = SWAP_PENALTY, rounds: int = 1200) -> di
     cb, rb = matrix([c for _, c in sample.copies])
     w, bias = np.zeros(k), math.log(n1 / n0)
     m, v = np.zeros(k + 1), np.zeros(k + 1)
+    draw = np.random.default_rng(11)
     for step in range(1, rounds + 1):
-        z = bias + np.bincount(row, w[col], len(y))
+        seen = draw.random(len(col), dtype=np.float32) >= blanked
+        c, r = col[seen], row[seen]
+        z = bias + np.bincount(r, w[c], len(y))
         p = 1 / (1 + np.exp(-np.clip(z, -40, 40)))
         error = (p - y) / len(y)
-        grad = np.append(np.bincount(col, error[row], k) + RIDGE / 10 * w, error.sum())
+        grad = np.append(np.bincount(c, error[r], k) + RIDGE / 10 * w, error.sum())
         if pairs:
             change = (np.bincount(ra, w[ca], pairs) - np.bincount(rb, w[cb], pairs)) * (2 * penalty / pairs)
             grad[:k] += np.bincount(ca, change[ra], k) - np.bincount(cb, change[rb], k)

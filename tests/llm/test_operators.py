@@ -389,6 +389,27 @@ def test_counterfactual_penalty():
     assert gap(fair) < gap(plain) - 0.05 and toxicity.Scorer(fair).score("nasty nasty") > 0.5
 
 
+def test_penalty_on_corpus_texts(spark, sf):
+    """An identity term put mostly into toxic texts raises the scores of clean held-out texts only without the penalty.
+
+    On sf0.1, as sf0.001 has too few labelled rows for any term to become a feature.
+    """
+    sf = sf.replace("sf0.001", "sf0.1")
+    known = spark.read.parquet(f"{sf}/labels.parquet").where("toxic is not null").select("doc_id", "toxic").dropDuplicates(["doc_id"])
+    rows = sorted((r["doc_id"], r["text"] or "", r["toxic"]) for r in spark.read.parquet(f"{sf}/documents.parquet").join(known, "doc_id").select("doc_id", "text", "toxic").collect())
+    away = lambda i: zlib.crc32(str(i).encode()) % 5 == 0
+    rng, sample = random.Random(3), toxicity.Sample()
+    for i, text, toxic in rows:
+        if not away(i):
+            x = rng.random()
+            term = {"muslim"} if x < (0.6 if toxic else 0.05) else {rng.choice(toxicity.IDENTITIES[2])} if x < (0.7 if toxic else 0.25) else set()
+            sample.add(set(toxicity._words(text.lower())) | term, int(toxic))
+    clean = [t for i, t, toxic in rows if away(i) and not toxic]
+    rise = lambda m: sum(m.score(f"{t} muslim") - m.score(t) for t in clean) / len(clean)
+    plain, fair = (toxicity.Scorer(toxicity.fit(sample, penalty=p)) for p in (0.0, toxicity.SWAP_PENALTY))
+    assert rise(plain) > 0.02 and abs(rise(fair)) < rise(plain) / 5
+
+
 # 8
 def test_fingerprints(spark, docs, hard, none):
     for df in (docs, hard.where("doc_id is not null").dropDuplicates(["doc_id"])):
