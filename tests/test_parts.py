@@ -250,3 +250,33 @@ def test_report(spark):
     assert svg.count("<rect") >= 8 and "OOM" in svg
     runs = spark.createDataFrame([("a", "g", "w", 1.0), ("b", "g", "w", 2.0)], "engine string, graph string, workload string, total double")
     assert report.matrix(runs, "graph", "engine", "total").first().asDict() == {"graph": "g", "a": 1.0, "b": 2.0}
+
+
+def test_block_kernel_calls(spark):
+    """Two thousand blocks of one vertex cost a bounded number of kernel calls, not one each."""
+    from pyspark.sql import functions as F
+
+    from bspframe.engines import block
+    from bspframe.engines.program import wcc_program
+    from bspframe.graph import Graph
+
+    g = Graph.from_edges(spark.range(2000).select((F.col("id") + 1).alias("src"), F.lit(0).alias("dst")))
+    calls, real = spark.sparkContext.accumulator(0), block.pd.concat
+
+    class Counting:
+        """pandas as the kernel sees it; each call of the kernel joins its rows and messages once."""
+
+        DataFrame = block.pd.DataFrame
+
+        @staticmethod
+        def concat(frames):
+            calls.add(1)
+            return real(frames)
+
+    was, block.pd = block.pd, Counting
+    try:
+        r = block.run_block(g, wcc_program(), blocks=g.vertices.select("id", F.col("id").alias("block")))
+        assert r.df.count() == 2001 and r.df.where("value <> 0").isEmpty()
+    finally:
+        block.pd = was
+    assert 0 < calls.value <= 3 * r.rounds * block.CALLS * int(spark.conf.get("spark.sql.shuffle.partitions"))
