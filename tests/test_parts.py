@@ -280,3 +280,22 @@ def test_block_kernel_calls(spark):
     finally:
         block.pd = was
     assert 0 < calls.value <= 3 * r.rounds * block.CALLS * int(spark.conf.get("spark.sql.shuffle.partitions"))
+
+
+def test_single_components_stream(spark, monkeypatch):
+    """The serial kernel gets its edges piece by piece, and the driver none of them."""
+    from bspframe.engines import serial
+    from bspframe.engines.program import wcc_program
+    from bspframe.graph import Graph
+
+    monkeypatch.setattr(serial, "to_arrays", lambda g: (_ for _ in ()).throw(MemoryError("the driver holds the graph")))
+    e = [(i, i + 1) for i in range(0, 100)] + [(i, i - 1) for i in range(300, 200, -1)] + [(500, 500)]
+    g = Graph.from_edges(spark.createDataFrame(e, "src long, dst long"), extra=spark.createDataFrame([(900,), (3,)], "id long"))
+    want = [(i, 0) for i in range(101)] + [(i, 200) for i in range(200, 301)] + [(500, 500), (900, 900)]
+    assert sorted(map(tuple, serial.run_single(g, wcc_program()).df.collect())) == want
+    import pyarrow as pa
+
+    monkeypatch.setattr(serial, "CHUNK", 7)
+    batches = [pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*e[i : i + 3])], ["src", "dst"]) for i in range(0, len(e), 3)]
+    got = [x for b in serial._stream_wcc(batches) for x in zip(*b.to_pydict().values())]
+    assert sorted(got) == want[:-1]
