@@ -299,3 +299,14 @@ def test_single_components_stream(spark, monkeypatch):
     batches = [pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*e[i : i + 3])], ["src", "dst"]) for i in range(0, len(e), 3)]
     got = [x for b in serial._stream_wcc(batches) for x in zip(*b.to_pydict().values())]
     assert sorted(got) == want[:-1]
+
+
+def test_khop_async_stops_at_k(spark):
+    """Asynchronous rounds pass several hops of a chain at once; what lies further than k is not an answer."""
+    from bspframe.algos.sssp import khop
+    from bspframe.graph import Graph
+
+    g = Graph.from_edges(spark.createDataFrame([(i, i + 1) for i in range(40)], "src long, dst long"))
+    for engine in ("gas-async", "gas-async-local"):
+        got = khop(g, 0, 3, engine=engine, **({"machines": 1, "inner": 5} if engine.endswith("local") else {"sweeps": 2})).df
+        assert sorted(map(tuple, got.collect())) == [(i, i) for i in range(4)], engine
