@@ -310,3 +310,16 @@ def test_khop_async_stops_at_k(spark):
     for engine in ("gas-async", "gas-async-local"):
         got = khop(g, 0, 3, engine=engine, **({"machines": 1, "inner": 5} if engine.endswith("local") else {"sweeps": 2})).df
         assert sorted(map(tuple, got.collect())) == [(i, i) for i in range(4)], engine
+
+
+def test_async_local_parts_are_bounded(spark, monkeypatch):
+    """Parts grow in number with the edges."""
+    from bspframe.algos.wcc import wcc
+    from bspframe.engines import gas
+    from bspframe.graph import Graph
+
+    monkeypatch.setattr(gas, "PART_EDGES", 20)
+    g = Graph.from_edges(spark.createDataFrame([(0, i) for i in range(1, 200)], "src long, dst long"))
+    r = wcc(g, engine="gas-async-local", machines=1)
+    assert r.df.count() == 200 and r.df.where("component <> 0").isEmpty()
+    assert gas.parts_of(398, 1) == 20 and gas.parts_of(398, 32) == 32
