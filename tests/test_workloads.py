@@ -124,3 +124,22 @@ def test_empty_graph(spark):
 def test_nulls_and_extra_columns(spark):
     e = spark.createDataFrame([(0, 1, "x"), (None, 1, "y"), (1, None, None)], "src long, dst long, id string")
     assert Graph.from_edges(e).validate().edges.collect()[0].asDict() == {"src": 0, "dst": 1}
+
+
+def _tables_read(monkeypatch):
+    """Names of the given tables that a query reads through Spark, as they are read."""
+    from bspframe import builders, queries
+
+    names, real = [], queries.read_table
+    seen = lambda s, d, t: (names.append(t), real(s, d, t))[1]
+    monkeypatch.setattr(queries, "read_table", seen)
+    monkeypatch.setattr(builders, "read_table", seen)
+    return names
+
+
+def test_partition_rule_reads_tables(spark, sf, monkeypatch):
+    from bspframe import queries
+
+    names = _tables_read(monkeypatch)
+    rows = queries.QUERIES["partition_rule"](spark, sf).collect()
+    assert len(rows) == 12 and set(names) == {"lineitem", "events", "pages"}
