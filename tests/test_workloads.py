@@ -143,3 +143,11 @@ def test_partition_rule_reads_tables(spark, sf, monkeypatch):
     names = _tables_read(monkeypatch)
     rows = queries.QUERIES["partition_rule"](spark, sf).collect()
     assert len(rows) == 12 and set(names) == {"lineitem", "events", "pages"}
+
+
+def test_report_cube_reads_tables(spark, sf, monkeypatch):
+    from bspframe import queries
+
+    names = _tables_read(monkeypatch)
+    rows = queries.QUERIES["report_cube"](spark, sf).where("level = 7").collect()
+    assert names == ["lineitem"] and [r["runs"] for r in rows] == [spark.read.parquet(f"{sf}/lineitem.parquet").count()]
