@@ -151,3 +151,17 @@ def test_report_cube_reads_tables(spark, sf, monkeypatch):
     names = _tables_read(monkeypatch)
     rows = queries.QUERIES["report_cube"](spark, sf).where("level = 7").collect()
     assert names == ["lineitem"] and [r["runs"] for r in rows] == [spark.read.parquet(f"{sf}/lineitem.parquet").count()]
+
+
+@pytest.mark.parametrize("name,rows", [("scaling_strong", 3), ("scaling_weak", 3), ("cores_reserved", 4)])
+def test_scaling_runs_in_the_session(spark, sf, monkeypatch, name, rows):
+    """The session at hand reads the tables and runs the rounds; no other process does."""
+    import subprocess
+
+    from bspframe import queries
+
+    monkeypatch.setattr(subprocess, "run", lambda *a, **k: (_ for _ in ()).throw(AssertionError("another process")))
+    names, was = _tables_read(monkeypatch), spark.conf.get("spark.sql.shuffle.partitions")
+    got = queries.QUERIES[name](spark, sf).collect()
+    assert len(got) == rows and all(r["seconds"] > 0 for r in got) and {"orders", "lineitem"} <= set(names)
+    assert spark.conf.get("spark.sql.shuffle.partitions") == was
