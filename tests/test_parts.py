@@ -323,3 +323,17 @@ def test_async_local_parts_are_bounded(spark, monkeypatch):
     r = wcc(g, engine="gas-async-local", machines=1)
     assert r.df.count() == 200 and r.df.where("component <> 0").isEmpty()
     assert gas.parts_of(398, 1) == 20 and gas.parts_of(398, 32) == 32
+
+
+def test_diameter_keeps_no_pairs(spark, monkeypatch):
+    """Pairs are counted by bits, 64 sources in a row; the counts are those of the searches one by one."""
+    from bspframe.algos import sssp
+    from bspframe.graph import Graph
+
+    g = Graph.from_edges(spark.createDataFrame([(i, (i * 7 + k) % 150) for i in range(150) for k in (1, 5)] + [(149, 149), (150, 0)], "src long, dst long"))
+    sources = spark.createDataFrame([(i,) for i in [*range(0, 151, 2), 0, 999]], "id long")
+    found = sssp.khop_many(g, sources, 1 << 30).df.where("dist > 0").groupBy("dist").count().orderBy("dist").collect()
+    monkeypatch.setattr(sssp, "khop_many", lambda *a, **k: (_ for _ in ()).throw(AssertionError("a row for each pair")))
+    assert [(x.round, x.changed) for x in sssp.pair_counts(g, sources)] == [tuple(r) for r in found]
+    got = sssp.diameter(g, sources).first()
+    assert (got["sources"], got["pairs"], got["longest"]) == (77, sum(r["count"] for r in found), found[-1]["dist"])
