@@ -156,3 +156,12 @@ def test_rdd_engine_sums_parallel_edges_and_leaves_the_unreached_null(spark):
         ranks = dict(pagerank(g, engine="rdd", cut=cut, max_rounds=3).df.collect())
         want = dict(pagerank(g, engine="vertex", max_rounds=3).df.collect())
         assert ranks.keys() == want.keys() and all(abs(ranks[k] - want[k]) < 1e-9 for k in want)
+
+
+@pytest.mark.parametrize("frontier", ["temp", "filter"])
+def test_views_in_memory_do_not_carry_the_plans_of_all_rounds(spark, frontier):
+    g = Graph.from_edges(spark.range(6).selectExpr("id as src", "id + 1 as dst"))
+    r = wcc(g, engine="sql", update="memory", frontier=frontier)
+    assert r.rounds > 5 and {x["id"]: x["component"] for x in r.df.collect()} == dict.fromkeys(range(7), 0)
+    assert len(r.df._jdf.queryExecution().analyzed().toString().splitlines()) < 10
+    assert not [t.name for t in spark.catalog.listTables() if t.name.startswith(("active_", "change_", "vertex_"))]
