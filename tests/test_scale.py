@@ -165,3 +165,13 @@ def test_views_in_memory_do_not_carry_the_plans_of_all_rounds(spark, frontier):
     assert r.rounds > 5 and {x["id"]: x["component"] for x in r.df.collect()} == dict.fromkeys(range(7), 0)
     assert len(r.df._jdf.queryExecution().analyzed().toString().splitlines()) < 10
     assert not [t.name for t in spark.catalog.listTables() if t.name.startswith(("active_", "change_", "vertex_"))]
+
+
+def test_a_matrix_builds_each_graph_once(spark, sf, monkeypatch):
+    from bspframe import harness
+
+    built = []
+    monkeypatch.setitem(B.GRAPHS, "handoff", lambda s, d: built.append(d) or B.handoff(s, d))
+    rows = harness.matrix(spark, sf, ("handoff",), ("khop", "wcc"), ("vertex", "sql", "single")).collect()
+    assert built == [sf] and len(rows) == 6 and {r["outcome"] for r in rows} == {"OK"}
+    assert {r["edges"] for r in rows} == {B.handoff(spark, sf).edges.count()}
