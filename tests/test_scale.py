@@ -175,3 +175,39 @@ def test_a_matrix_builds_each_graph_once(spark, sf, monkeypatch):
     rows = harness.matrix(spark, sf, ("handoff",), ("khop", "wcc"), ("vertex", "sql", "single")).collect()
     assert built == [sf] and len(rows) == 6 and {r["outcome"] for r in rows} == {"OK"}
     assert {r["edges"] for r in rows} == {B.handoff(spark, sf).edges.count()}
+
+
+def test_a_loop_keeps_the_files_of_its_last_checkpoint_only(spark):
+    import os
+
+    from bspframe.session import shared_dir
+
+    folder = spark.sparkContext._jsc.sc().getCheckpointDir().get() if shared_dir(spark) else None
+    folder = folder.removeprefix("file:")
+    count = lambda: len([x for x in os.listdir(folder) if x.startswith("rdd-")]) if os.path.isdir(folder) else 0
+    g = Graph.from_edges(spark.range(6).selectExpr("id as src", "id + 1 as dst"))
+    before = count()
+    r = pagerank(g, max_rounds=5, truncate=Truncate())
+    assert r.rounds == 5 and count() == before + 1
+    assert r.df.count() == 7
+
+
+def test_approximate_ranks_do_not_move_edges(spark, monkeypatch):
+    from bspframe.algos import pagerank as module
+
+    g = star_and_ring(spark, 40, 10)
+    keys, real = [], module.deal
+    monkeypatch.setattr(module, "deal", lambda e, key, *a: keys.append(key) or real(e, key, *a))
+    for few in (0, 100_000):
+        monkeypatch.setattr(module, "FEW", few)
+        for wake in (False, True):
+            got = {x["id"]: x["rank"] for x in pagerank_approx(g, 1e-9, reactivate=wake).df.collect()}
+            want = {x["id"]: x["rank"] for x in pagerank(g, tol=1e-9).df.collect()}
+            assert got.keys() == want.keys() and max(abs(got[i] - want[i]) for i in want) < 1e-6
+    assert keys == ["src"] * 4  # they lie by source once, whatever a round reads
+
+
+def test_slow_rounds_are_all_checkpointed():
+    i = Interval(Truncate.auto())
+    i.took(i.due(), Interval.SLOW + 1)
+    assert not i.probing and i.due() and i.every == 1
