@@ -209,5 +209,6 @@ def test_approximate_ranks_do_not_move_edges(spark, monkeypatch):
 
 def test_slow_rounds_are_all_checkpointed():
     i = Interval(Truncate.auto())
-    i.took(i.due(), Interval.SLOW + 1)
+    for _ in range(3):  # two checkpointed rounds, then a persisted one
+        i.took(i.due(), Interval.SLOW + (8 if len(i.full) < 2 else 1))
     assert not i.probing and i.due() and i.every == 1
