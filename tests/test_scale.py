@@ -245,3 +245,13 @@ def test_matrices_run_every_family_for_all_rounds(spark, sf, monkeypatch):
         QUERIES[f"matrix_{graph}"](spark, sf)
         engines = {"vertex", "gas", "block", "mr-loop", "rdd", "sql", "dataflow", "single"}
         assert set(cells) == {(graph, w, e, ROUNDS) for w in harness.WORKLOADS for e in engines} - {(graph, "pagerank", "block", ROUNDS)}
+
+
+def test_a_small_graph_is_not_dealt_to_all_parts(spark):
+    from bspframe.engines import rdd
+
+    g = Graph.from_edges(spark.range(700).selectExpr("id as src", "(id + 1) % 700 as dst"))
+    assert int(spark.conf.get("spark.sql.shuffle.partitions")) > 1
+    r = rdd.run_rdd(g, pagerank_program(k=2))
+    assert r.df.rdd.getNumPartitions() == 1 and {round(x["value"], 9) for x in r.df.collect()} == {1.0}
+    assert rdd.parts_of(120_000, 12) == 3 and rdd.parts_of(10**6, 12) == 12 and rdd.parts_of(10**8, 12) == 100
