@@ -255,3 +255,18 @@ def test_a_small_graph_is_not_dealt_to_all_parts(spark):
     r = rdd.run_rdd(g, pagerank_program(k=2))
     assert r.df.rdd.getNumPartitions() == 1 and {round(x["value"], 9) for x in r.df.collect()} == {1.0}
     assert rdd.parts_of(120_000, 12) == 3 and rdd.parts_of(10**6, 12) == 12 and rdd.parts_of(10**8, 12) == 100
+
+
+def test_a_search_from_many_sources_leaves_no_files(spark):
+    import os
+
+    from bspframe.algos.sssp import pair_counts
+    from bspframe.session import shared_dir
+
+    top = shared_dir(spark).removeprefix("file://")
+    kept = lambda: sorted(f for at, _, names in os.walk(top) for f in names if "code-" not in at)
+    g = Graph.from_edges(spark.range(6).selectExpr("id as src", "id + 1 as dst"))
+    before = kept()
+    assert [x.changed for x in pair_counts(g, spark.range(2))] == [2, 2, 2, 2, 2, 1]
+    assert kept() == before
+    assert not [t.name for t in spark.catalog.listTables() if t.name.startswith("dealt_")]
