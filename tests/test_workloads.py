@@ -165,3 +165,10 @@ def test_scaling_runs_in_the_session(spark, sf, monkeypatch, name, rows):
     got = queries.QUERIES[name](spark, sf).collect()
     assert len(got) == rows and all(r["seconds"] > 0 for r in got) and {"orders", "lineitem"} <= set(names)
     assert spark.conf.get("spark.sql.shuffle.partitions") == was
+
+
+def test_weak_scaling_builds_its_graph_once(spark, sf, monkeypatch):
+    from bspframe import queries
+
+    names = _tables_read(monkeypatch)
+    assert queries.QUERIES["scaling_weak"](spark, sf).count() == 3 and names.count("lineitem") == 1
